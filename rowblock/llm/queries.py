@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import exact_dedup, packing, quality_rules, simhash, url_filters
+from . import exact_dedup, packing, quality_rules, simhash, toxicity, url_filters
 from .common import read
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -18,6 +18,10 @@ def op3_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(read(spark, sf_dir, "documents"), path("byte_bpe_50k.json"), path("byte_bpe_50k.tiktoken"))
 
 
+def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.judge(read(spark, sf_dir, "documents"), read(spark, sf_dir, "labels"))
+
+
 def op5_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.membership(read(spark, sf_dir, "documents"))
 
@@ -34,7 +38,7 @@ def op9_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filters.judge(read(spark, sf_dir, "pages"), read(spark, sf_dir, "labels"))
 
 
-QUERIES: dict[str, Query] = {f.__name__: f for f in (op3_packing, op5_exact_dedup, op7_simhash, op8_quality_rules, op9_url_filters)}
+QUERIES: dict[str, Query] = {f.__name__: f for f in (op3_packing, op4_toxicity, op5_exact_dedup, op7_simhash, op8_quality_rules, op9_url_filters)}
 
 _AZ = "'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'"
 
@@ -48,8 +52,10 @@ def _quality_sql(control: quality_rules.RiskControl) -> str:
     return rf"""
         WITH words AS (
             SELECT doc_id, CASE WHEN lang IN ({strata}) THEN lang ELSE 'other' END AS stratum, t,
-                   list_filter(string_split_regex(t, '[ 	-]+'), lambda x: x <> '') AS w,
-                   list_filter(string_split(t, chr(10)), lambda x: regexp_matches(x, '[^ 	-]')) AS l
+                   list_filter(string_split_regex(t, '[ 	-
+]+'), lambda x: x <> '') AS w,
+                   list_filter(string_split(t, chr(10)), lambda x: regexp_matches(x, '[^ 	-
+]')) AS l
             FROM (SELECT doc_id, lang, coalesce(text, '') AS t FROM documents)),
         windows AS (
             SELECT doc_id, i, count(*) OVER (PARTITION BY doc_id, g) AS c
