@@ -37,6 +37,15 @@ def text_or_empty(column: str | Column = "text") -> Column:
     return F.coalesce(F.col(column) if isinstance(column, str) else column, F.lit(""))
 
 
+def computed_once(value: Column, otherwise: Column) -> Column:
+    """value, behind a condition that always holds but that the optimiser can't foresee.
+
+    It doesn't push filters through a projection that holds such a column, so it doesn't copy the
+    expensive columns below it into the filter, where each copy would be computed again.
+    """
+    return F.when(F.monotonically_increasing_id() >= 0, value).otherwise(otherwise)
+
+
 def utf8(column: str | Column = "text") -> Column:
     """The bytes of a text, for kernels that work on bytes."""
     return text_or_empty(column).cast("binary")

@@ -23,7 +23,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import cut_lineage, free_name, text_or_empty
+from .common import computed_once, cut_lineage, free_name, text_or_empty
 
 SPACE = r"[\x20\x09-\x0D]+"
 WINDOW = 8
@@ -88,7 +88,8 @@ def with_counts(docs: DataFrame, text_col: str = "text") -> tuple[DataFrame, dic
     out = out.withColumn(own["twice_"], F.sort_array(F.filter(F.transform(s, again), lambda x: x.isNotNull())))
     t = c["twice_"]
     covered = F.aggregate(F.transform(t, lambda p, k: F.least(F.lit(WINDOW), F.coalesce(F.get(t, k + 1) - p, F.lit(WINDOW)))), F.lit(0).cast("long"), lambda a, x: a + x)
-    out = out.withColumn(own["n_repeat_words"], F.coalesce(covered, F.lit(0).cast("long")))
+    zero = F.lit(0).cast("long")
+    out = out.withColumn(own["n_repeat_words"], computed_once(F.coalesce(covered, zero), zero))
     return out.drop(*(own[n] for n in ("text_", "words_", "lines_", "hashes_", "windows_", "sorted_", "twice_"))), own
 
 

@@ -7,12 +7,16 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import exact_dedup, packing, piece_codec, quality_rules, simhash, token_counts, toxicity, url_filters
+from . import exact_dedup, line_dedup, lm_scoring, packing, piece_codec, quality_rules, simhash, token_counts, toxicity, url_filters
 from .common import read
 
 Query = Callable[[SparkSession, str], DataFrame]
 
 
+def op1_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return line_dedup.digests(read(spark, sf_dir, "documents"))
+
+
 def op2_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.token_counts(read(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"))
 
@@ -30,6 +34,10 @@ def op5_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.membership(read(spark, sf_dir, "documents"))
 
 
+def op6_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lm_scoring.score(read(spark, sf_dir, "documents"), read(spark, sf_dir, "labels"))
+
+
 def op7_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(read(spark, sf_dir, "documents"))
 
@@ -46,7 +54,7 @@ def op10_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
     return piece_codec.coded_digests(read(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"))
 
 
-QUERIES: dict[str, Query] = {f.__name__: f for f in (op2_token_counts, op3_packing, op4_toxicity, op5_exact_dedup, op7_simhash, op8_quality_rules, op9_url_filters, op10_sentencepiece)}
+QUERIES: dict[str, Query] = {f.__name__: f for f in (op1_line_dedup, op2_token_counts, op3_packing, op4_toxicity, op5_exact_dedup, op6_lm_scoring, op7_simhash, op8_quality_rules, op9_url_filters, op10_sentencepiece)}
 
 _AZ = "'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'"
 
@@ -133,7 +141,28 @@ def _reputation_sql(rules: tuple, c: url_filters.Reputation) -> str:
     """
 
 
+def _line_dedup_sql(c: line_dedup.Chunking) -> str:
+    """Chunks by windows over lines, their repeats by complete text, and what is left."""
+    return rf"""
+        WITH lines AS (
+            SELECT doc_id, i, line, ('0x' || left(md5(line), 8))::BIGINT AS h
+            FROM (SELECT doc_id, unnest(l) AS line, generate_subscripts(l, 1) - 1 AS i FROM (SELECT doc_id, string_split(coalesce(text, ''), chr(10)) AS l FROM documents))),
+        rolled AS (
+            SELECT *, lag(h, 2) OVER w * {c.base} + lag(h, 1) OVER w AS r FROM lines WINDOW w AS (PARTITION BY doc_id ORDER BY i)),
+        numbered AS (
+            SELECT *, sum(CASE WHEN i >= 2 AND r % {c.divisor} = 0 THEN 1 ELSE 0 END) OVER (PARTITION BY doc_id ORDER BY i) AS k FROM rolled),
+        chunks AS (
+            SELECT doc_id, k, count(*) AS n, string_agg(line, chr(10) ORDER BY i) AS t FROM numbered GROUP BY doc_id, k),
+        judged AS (
+            SELECT *, n >= {c.least_lines} AND length(t) >= {c.least_chars} AND row_number() OVER (PARTITION BY t, n >= {c.least_lines} ORDER BY doc_id, k) > 1 AS gone FROM chunks)
+        SELECT doc_id, sum(n)::BIGINT AS n_lines, count(*)::BIGINT AS n_chunks, count(*) FILTER (gone)::BIGINT AS removed_chunks, coalesce(sum(n) FILTER (gone), 0)::BIGINT AS removed_lines,
+               length(coalesce(string_agg(t, chr(10) ORDER BY k) FILTER (NOT gone), ''))::BIGINT AS kept_chars, md5(coalesce(string_agg(t, chr(10) ORDER BY k) FILTER (NOT gone), '')) AS text_md5
+        FROM judged GROUP BY doc_id
+    """
+
+
 ORACLES: dict[str, str] = {
+    "op1_line_dedup": _line_dedup_sql(line_dedup.Chunking()),
     "op5_exact_dedup": f"""
         SELECT doc_id, keep_id, group_size, doc_id = keep_id AS kept, sha256(t) AS text_sha256
         FROM (SELECT doc_id, t, max(doc_id) OVER (PARTITION BY t) AS keep_id, count(*) OVER (PARTITION BY t) AS group_size
