@@ -9,6 +9,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+BATCH_ROWS = 1000
+
 
 def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     """One of the given tables."""
@@ -51,6 +53,14 @@ def utf8(column: str | Column = "text") -> Column:
     return text_or_empty(column).cast("binary")
 
 
+def map_arrow(df: DataFrame, kernel, schema) -> DataFrame:
+    """mapInArrow with batches of few rows: texts are long, and a batch is held several times over."""
+    conf, key = df.sparkSession.conf, "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(conf.get(key)) <= BATCH_ROWS:
+        conf.set(key, str(BATCH_ROWS))
+    return df.mapInArrow(kernel, schema)
+
+
 def free_name(df: DataFrame, wanted: str) -> str:
     """A column name that df does not have yet, in any case."""
     taken = {c.lower() for c in df.columns}

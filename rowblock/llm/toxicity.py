@@ -32,7 +32,7 @@ import zstandard as zstd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import free_name, utf8
+from .common import free_name, map_arrow, utf8
 
 STRIP = b".,;:!?*#$%&|\"'()<>[]"
 MOST_BYTES = 15  # lengths and gains above share a bin
@@ -230,19 +230,17 @@ def _windows(model: Model) -> Windows:
 
 def score(docs: DataFrame, model: Model, score_col: str = "score", text_col: str = "text") -> DataFrame:
     """docs with a score; one pass, row by row, nothing is shuffled."""
-    raw = free_name(docs, "raw_text")
-    given = docs.withColumn(raw, utf8(text_col))
+    text_at = docs.columns.index(text_col)
     packed = docs.sparkSession.sparkContext.broadcast(pickle.dumps(model))  # the dictionaries' sizes are bounded by Training
     names = [*docs.columns, score_col]
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         windows = _windows(pickle.loads(packed.value))
         for batch in batches:
-            found = [windows.score(x.as_py()) for x in batch.column(batch.num_columns - 1)]
-            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(found, pa.float64())], names=names)
+            found = [windows.score((x.as_py() or "").encode()) for x in batch.column(text_at)]
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(found, pa.float64())], names=names)
 
-    schema = given.drop(raw).schema.add(score_col, "double")
-    return given.mapInArrow(kernel, schema)
+    return map_arrow(docs, kernel, docs.schema.add(score_col, "double"))
 
 
 def judge(docs: DataFrame, labels: DataFrame, threshold: float = 0.7, training: Training | None = None) -> DataFrame:
