@@ -8,6 +8,7 @@ from collections.abc import Iterator
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 BATCH_ROWS = 1000
 
@@ -61,6 +62,11 @@ def map_arrow(df: DataFrame, kernel, schema) -> DataFrame:
     return df.mapInArrow(kernel, schema)
 
 
+def with_field(df: DataFrame, name: str, kind: str) -> T.StructType:
+    """The schema of df with one more column."""
+    return T.StructType([*df.schema.fields, T.StructField(name, T._parse_datatype_string(kind))])
+
+
 def free_name(df: DataFrame, wanted: str) -> str:
     """A column name that df does not have yet, in any case."""
     taken = {c.lower() for c in df.columns}

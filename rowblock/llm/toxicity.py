@@ -32,7 +32,7 @@ import zstandard as zstd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import free_name, map_arrow, utf8
+from .common import free_name, map_arrow, utf8, with_field
 
 STRIP = b".,;:!?*#$%&|\"'()<>[]"
 MOST_BYTES = 15  # lengths and gains above share a bin
@@ -240,7 +240,7 @@ def score(docs: DataFrame, model: Model, score_col: str = "score", text_col: str
             found = [windows.score((x.as_py() or "").encode()) for x in batch.column(text_at)]
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(found, pa.float64())], names=names)
 
-    return map_arrow(docs, kernel, docs.schema.add(score_col, "double"))
+    return map_arrow(docs, kernel, with_field(docs, score_col, "double"))
 
 
 def judge(docs: DataFrame, labels: DataFrame, threshold: float = 0.7, training: Training | None = None) -> DataFrame:
