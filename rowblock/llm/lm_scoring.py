@@ -1,8 +1,8 @@
 """Documents scored by the difference of two language models' cross-entropies.
 
 Both models predict the next byte from the three before it, interpolated down to single bytes, so they share one vocabulary
-(256 bytes) and one smoothing. The background model counts all documents. The target model counts those that are
-labelled as good, outside the fold held out for measuring. A document's score is its mean loss per byte under the background
+(256 bytes) and one smoothing. The background model counts all documents. The target model counts a bounded sample
+(``TARGET_DOCS``, in the order of a hash of the id) of those that are labelled as good, outside the fold held out for measuring. A document's score is its mean loss per byte under the background
 minus that under the target: the higher, the more it looks like the target.
 
 Counts of one and two bytes have a place for each; those of three and four are hashed into 2^20 places, so a model has a fixed
@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import utf8
+from .common import map_arrow, utf8
 from .toxicity import held_out
 
 BITS = 20
@@ -29,6 +29,7 @@ SIZES = (256, 1 << 16, 1 << BITS, 1 << BITS)
 OFFSETS = tuple(int(x) for x in np.cumsum([0, *SIZES]))
 STRENGTH = (0.5, 16.0, 16.0, 16.0)  # of the lower order, for orders 1 to 4
 FLUSH_BYTES = 2 << 20
+TARGET_DOCS = 20_000
 
 
 def _hashed(grams: np.ndarray) -> np.ndarray:
@@ -96,10 +97,11 @@ class Model:
         return float(-np.log(np.clip(p, 1e-12, 1.0)).sum(dtype=np.float64))
 
 
-def gather(docs: DataFrame, labels: DataFrame) -> tuple[np.ndarray, np.ndarray]:
+def gather(docs: DataFrame, labels: DataFrame, target_docs: int = TARGET_DOCS) -> tuple[np.ndarray, np.ndarray]:
     """Counts of all documents and of the target's, each of fixed size."""
     good = labels.where("quality = 1 AND doc_id IS NOT NULL").where(~held_out(F.col("doc_id"))).select(F.col("doc_id").alias("good_id")).distinct()
-    marked = docs.select(F.col("doc_id"), utf8("text").alias("t")).join(good, F.col("doc_id") == F.col("good_id"), "left").select("t", F.col("good_id").isNotNull().alias("target"))
+    chosen = good.orderBy(F.xxhash64("good_id"), "good_id").limit(target_docs)  # so many ids at most are broadcast
+    marked = docs.select(F.col("doc_id"), utf8("text").alias("t")).join(F.broadcast(chosen), F.col("doc_id") == F.col("good_id"), "left").select("t", F.col("good_id").isNotNull().alias("target"))
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         both = (Counts(), Counts())
@@ -115,7 +117,7 @@ def gather(docs: DataFrame, labels: DataFrame) -> tuple[np.ndarray, np.ndarray]:
                 part = slice(i, i + 100_000)
                 yield pa.RecordBatch.from_arrays([pa.array(at[part] + kind * OFFSETS[-1]), pa.array(n[part])], names=["place", "n"])
 
-    summed = marked.mapInArrow(kernel, "place long, n long").groupBy("place").agg(F.sum("n").alias("n"))
+    summed = map_arrow(marked, kernel, "place long, n long").groupBy("place").agg(F.sum("n").alias("n"))
     table = summed.toArrow()  # at most 2 * OFFSETS[-1] rows of two numbers
     total = np.zeros(2 * OFFSETS[-1], dtype=np.int64)
     total[table.column("place").to_numpy()] = table.column("n").to_numpy()
@@ -141,4 +143,5 @@ def score(docs: DataFrame, labels: DataFrame) -> DataFrame:
             back, own = np.array(losses[0]), np.array(losses[1])
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(own), pa.array(back), pa.array(back * 0 if blind else back - own)], names=["doc_id", "n_tokens", "target_loss", "background_loss", "score"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), utf8("text").alias("t")).mapInArrow(kernel, "doc_id long, n_tokens long, target_loss double, background_loss double, score double")
+    slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), utf8("text").alias("t"))
+    return map_arrow(slim, kernel, "doc_id long, n_tokens long, target_loss double, background_loss double, score double")
