@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import ctypes
+import ctypes.util
 import tempfile
 from collections.abc import Iterator
 
@@ -55,11 +57,30 @@ def utf8(column: str | Column = "text") -> Column:
 
 
 def map_arrow(df: DataFrame, kernel, schema) -> DataFrame:
-    """mapInArrow with batches of few rows: texts are long, and a batch is held several times over."""
+    """mapInArrow with batches of few rows: texts are long, and a batch is held several times over.
+
+    When a task is done, its worker, which Spark keeps for later tasks, gives free memory back.
+    """
     conf, key = df.sparkSession.conf, "spark.sql.execution.arrow.maxRecordsPerBatch"
     if not 0 < int(conf.get(key)) <= BATCH_ROWS:
         conf.set(key, str(BATCH_ROWS))
-    return df.mapInArrow(kernel, schema)
+
+    def bounded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from kernel(batches)
+        finally:
+            give_back()
+
+    return df.mapInArrow(bounded, schema)
+
+
+def give_back() -> None:
+    """Return memory that is no longer used to the system, as far as it offers that."""
+    pa.default_memory_pool().release_unused()
+    libc = ctypes.util.find_library("c")
+    trim = getattr(ctypes.CDLL(libc), "malloc_trim", None) if libc else None
+    if trim:
+        trim(0)
 
 
 def with_field(df: DataFrame, name: str, kind: str) -> T.StructType:

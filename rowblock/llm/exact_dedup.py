@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import free_name, text_or_empty, utf8
+from .common import free_name, map_arrow, text_or_empty, utf8
 
 TABLE_BYTES = 96 << 20
 SPILL_FAN_OUT = 16
@@ -166,7 +166,7 @@ def survivors(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", s
         plain = (pa.RecordBatch.from_arrays(b.columns, names=[str(i) for i in range(width)]) for b in batches)
         yield from named(grace(plain, id_at, raw_at, budget))
 
-    kept = given.mapInArrow(local, wide).repartition(hashed).mapInArrow(final, wide)
+    kept = map_arrow(map_arrow(given, local, wide).repartition(hashed), final, wide)
     return kept.select(*names, *([F.col(size).alias(size_col)] if size_col else []))
 
 
@@ -178,7 +178,7 @@ def text_digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
             found = [hashlib.sha256(x.as_py().lower()).hexdigest() for x in batch.column(1)]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(found, pa.string())], names=["doc_id", "text_sha256"])
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), utf8(text_col).alias("t")).mapInArrow(digest, "doc_id long, text_sha256 string")
+    return map_arrow(docs.select(F.col(id_col).cast("long").alias("doc_id"), utf8(text_col).alias("t")), digest, "doc_id long, text_sha256 string")
 
 
 def membership(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -201,4 +201,4 @@ def _heads(groups: DataFrame) -> DataFrame:
             found = [hashlib.sha256(x.as_py().lower()).hexdigest() for x in batch.column(1)]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(found, pa.string()), batch.column(2)], names=["keep_id", "text_sha256", "group_size"])
 
-    return groups.select("doc_id", utf8("text").alias("t"), "group_size").mapInArrow(digest, "keep_id long, text_sha256 string, group_size long")
+    return map_arrow(groups.select("doc_id", utf8("text").alias("t"), "group_size"), digest, "keep_id long, text_sha256 string, group_size long")

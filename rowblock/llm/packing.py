@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import text_or_empty
+from .common import map_arrow, text_or_empty
 
 GROUP_DOCS = 4096
 SEED = 42
@@ -148,7 +148,7 @@ def token_pieces(docs: DataFrame, groups: int, json_path: str, ranks_path: str |
                 yield _columns(rows)
 
     group = F.pmod(F.xxhash64(F.lit(SEED), F.col(id_col)), F.lit(groups))
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), group.alias("grp"), text_or_empty(text_col).alias("text")).mapInArrow(kernel, "grp long, doc_id long, start long, length long, ids_crc32 long, doc_tokens long, ids binary")
+    return map_arrow(docs.select(F.col(id_col).cast("long").alias("doc_id"), group.alias("grp"), text_or_empty(text_col).alias("text")), kernel, "grp long, doc_id long, start long, length long, ids_crc32 long, doc_tokens long, ids binary")
 
 
 def _columns(rows: list[tuple]) -> pa.RecordBatch:

@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import free_name, text_or_empty, with_field
+from .common import free_name, map_arrow, text_or_empty, with_field
 from .piece_machine import MARK, machine
 
 
@@ -32,7 +32,7 @@ def encode(docs: DataFrame, model_path: str, ids_col: str = "ids", text_col: str
             found = pa.array([coder.encode(x.as_py()) for x in batch.column(batch.num_columns - 1)], pa.list_(pa.int32()))
             yield pa.RecordBatch.from_arrays([*batch.columns[:-1], found], names=names)
 
-    return given.mapInArrow(kernel, with_field(docs, ids_col, "array<int>"))
+    return map_arrow(given, kernel, with_field(docs, ids_col, "array<int>"))
 
 
 def decode(coded: DataFrame, model_path: str, text_col: str = "text", ids_col: str = "ids") -> DataFrame:
@@ -46,7 +46,7 @@ def decode(coded: DataFrame, model_path: str, text_col: str = "text", ids_col: s
             found = pa.array([coder.decode(x.as_py()) for x in batch.column(batch.num_columns - 1)], pa.string())
             yield pa.RecordBatch.from_arrays([*batch.columns[:-1], found], names=names)
 
-    return given.mapInArrow(kernel, with_field(coded, text_col, "string"))
+    return map_arrow(given, kernel, with_field(coded, text_col, "string"))
 
 
 def coded_digests(docs: DataFrame, model_path: str) -> DataFrame:
@@ -64,4 +64,4 @@ def coded_digests(docs: DataFrame, model_path: str) -> DataFrame:
                 same.append(coder.decode(ids) == text.replace(MARK, " "))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(crc, pa.int64()), pa.array(same, pa.bool_())], names=["doc_id", "n_tokens", "ids_crc32", "round_trip"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("t")).mapInArrow(kernel, "doc_id long, n_tokens long, ids_crc32 long, round_trip boolean")
+    return map_arrow(docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("t")), kernel, "doc_id long, n_tokens long, ids_crc32 long, round_trip boolean")

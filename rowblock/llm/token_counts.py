@@ -12,7 +12,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import free_name, text_or_empty, with_field
+from .common import free_name, map_arrow, text_or_empty, with_field
 from .piece_machine import machine
 
 
@@ -27,7 +27,7 @@ def with_token_counts(docs: DataFrame, model_path: str, count_col: str = "n_toke
             found = [count(x.as_py()) for x in batch.column(batch.num_columns - 1)]
             yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(found, pa.int64())], names=names)
 
-    return given.mapInArrow(kernel, with_field(docs, count_col, "long"))
+    return map_arrow(given, kernel, with_field(docs, count_col, "long"))
 
 
 def token_counts(docs: DataFrame, model_path: str, limit: int = 4096) -> DataFrame:

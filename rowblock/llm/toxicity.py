@@ -36,15 +36,15 @@ from .common import free_name, map_arrow, utf8, with_field
 
 STRIP = b".,;:!?*#$%&|\"'()<>[]"
 MOST_BYTES = 15  # lengths and gains above share a bin
-MEMO = 400_000
+MEMO = 150_000
 
 
 @dataclass(frozen=True)
 class Training:
     """Bounds of the labelled sample (documents of each kind, bytes of each text used for training only when no longer) and of the dictionaries."""
 
-    toxic_docs: int = 3000
-    ordinary_docs: int = 6000
+    toxic_docs: int = 2000
+    ordinary_docs: int = 4000
     longest_text: int = 200_000
     base_words: int = 1000
     toxic_words: int = 3000
