@@ -9,25 +9,22 @@ import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.udtf import AnalyzeArgument, AnalyzeResult
-from pyspark.sql.types import DoubleType, IntegerType, StructType
+from pyspark.sql.types import ArrayType, DoubleType, IntegerType, StructType
 
 from ..kernels import fold_r, qr_r
 
 
-@F.pandas_udf("array<double>")
 def gram_partial(rows: pd.Series) -> np.ndarray:
     """Gram matrix, row by row, of the arrays of a group."""
     a = np.vstack(rows.to_numpy())
     return (a.T @ a).ravel()
 
 
-@F.pandas_udf("array<double>")
 def r_of(rows: pd.Series) -> np.ndarray:
     """R, row by row, of the arrays of a group."""
     return qr_r(np.vstack(rows.to_numpy())).ravel()
 
 
-@F.pandas_udf("array<double>")
 def r_merge(triangles: pd.Series) -> np.ndarray:
     """R of the matrices whose square Rs are given row by row."""
     n = round(len(triangles.iloc[0]) ** 0.5)
@@ -62,9 +59,8 @@ def register(spark: SparkSession) -> None:
     """gram_partial, r_of, r_merge, qr_r, and vector functions that generated code can inline."""
     from pyspark.sql.functions import udtf
 
-    spark.udf.register("gram_partial", gram_partial)
-    spark.udf.register("r_of", r_of)
-    spark.udf.register("r_merge", r_merge)
+    for f in (gram_partial, r_of, r_merge):
+        spark.udf.register(f.__name__, F.pandas_udf(f, ArrayType(DoubleType())))
     spark.udtf.register("qr_r", udtf(QrR))
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION vec_dot(x ARRAY<DOUBLE>, y ARRAY<DOUBLE>) RETURNS DOUBLE RETURN aggregate(zip_with(x, y, (a, b) -> a * b), CAST(0 AS DOUBLE), (s, v) -> s + v)")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION vec_norm(x ARRAY<DOUBLE>) RETURNS DOUBLE RETURN sqrt(aggregate(x, CAST(0 AS DOUBLE), (s, v) -> s + v * v))")

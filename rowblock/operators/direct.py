@@ -1,6 +1,7 @@
 """Direct block QR: keep each block's own Q, factor the stacked Rs, and multiply by slices of that second Q.
 
-Step 1 maps each block to its Q and R and writes them as one committed table. Step 2 reads the Rs alone
+Step 1 maps each block to its Q and R and writes them as one committed table. A block is what a task has read, up to a
+number of rows; only where blocks have to be made again (replay) or their number is given are rows dealt to them by a hash. Step 2 reads the Rs alone
 (the rest is pruned), stacks them by block id and factors the stack: on the driver, in one task, or, when the
 stack is large, by the same method again over groups of blocks. Step 3 joins each block with its slice
 and multiplies. Q is orthogonal to working accuracy whatever the conditioning of A.
@@ -16,7 +17,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..blocks import assign, to_matrix
+from ..blocks import assign, block_rows_for, to_matrix
 from ..errors import FactorizationError, TooFewRows
 from ..kernels import qr_full
 from ..matrix import NarrowMatrix
@@ -24,6 +25,7 @@ from ..staging import Stage
 
 STACK_BYTES = 64 << 20
 BROADCAST_BYTES = 8 << 20
+ROWS_OUT = 20_000
 
 
 def _blocks_of(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, pa.Table]]:
@@ -45,25 +47,61 @@ def _blocks_of(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, pa.Tabl
         yield int(now), pa.Table.from_batches(held)
 
 
-def direct_local(nm: NarrowMatrix, n_blocks: int) -> DataFrame:
-    """(block_id, keys, q, r, r_rows), one row for each block that has rows."""
-    n, policy = nm.n, nm.on_bad_row
-    dealt = assign(nm, n_blocks)
-    key_type = dealt.schema["k"].dataType
-    schema = T.StructType([T.StructField("block_id", T.LongType()), T.StructField("keys", T.ArrayType(key_type)), T.StructField("q", T.ArrayType(T.DoubleType())), T.StructField("r", T.ArrayType(T.DoubleType())), T.StructField("r_rows", T.IntegerType())])
+def _stage_schema(key_type: T.DataType) -> T.StructType:
+    double = T.ArrayType(T.DoubleType())
+    return T.StructType([T.StructField("block_id", T.LongType()), T.StructField("keys", T.ArrayType(key_type)), T.StructField("q", double), T.StructField("r", double), T.StructField("r_rows", T.IntegerType())])
 
-    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for block_id, table in _blocks_of(batches):
-            one = table.combine_chunks().to_batches()[0]
-            rows, keep = to_matrix(one.column(2), n, policy)
-            if not len(rows):
-                continue
-            keys = one.column(1) if keep.all() else one.column(1).filter(pa.array(keep))
-            q, r = qr_full(rows)
-            lists = lambda a: pa.ListArray.from_arrays(pa.array([0, len(a)], pa.int32()), a)
-            yield pa.RecordBatch.from_arrays([pa.array([block_id], pa.int64()), lists(keys), lists(pa.array(q.ravel())), lists(pa.array(r.ravel())), pa.array([len(r)], pa.int32())], names=["block_id", "keys", "q", "r", "r_rows"])
 
-    return dealt.mapInArrow(kernel, schema)
+def _factored(block_id: int, keys: pa.Array, values: pa.Array, n: int, policy: str) -> pa.RecordBatch | None:
+    """The stage table's row of a block."""
+    rows, keep = to_matrix(values, n, policy)
+    if not len(rows):
+        return None
+    keys = keys if keep.all() else keys.filter(pa.array(keep))
+    q, r = qr_full(rows)
+    lists = lambda a: pa.ListArray.from_arrays(pa.array([0, len(a)], pa.int32()), a)
+    return pa.RecordBatch.from_arrays([pa.array([block_id], pa.int64()), lists(keys), lists(pa.array(q.ravel())), lists(pa.array(r.ravel())), pa.array([len(r)], pa.int32())], names=["block_id", "keys", "q", "r", "r_rows"])
+
+
+def direct_local(nm: NarrowMatrix, n_blocks: int | None = None, block_rows: int | None = None) -> DataFrame:
+    """(block_id, keys, q, r, r_rows), one row for each block that has rows.
+
+    Without n_blocks this is map only: a block is up to block_rows rows of a task, and its id is the task's and its place. With
+    it, rows are dealt to as many blocks by a hash of the key, so that the same blocks can be made again.
+    """
+    n, policy = nm.n, nm.on_bad_row
+    if n_blocks:
+        dealt = assign(nm, n_blocks)
+
+        def again(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for block_id, table in _blocks_of(batches):
+                one = table.combine_chunks().to_batches()[0]
+                if (out := _factored(block_id, one.column(1), one.column(2), n, policy)) is not None:
+                    yield out
+
+        return dealt.mapInArrow(again, _stage_schema(dealt.schema["k"].dataType))
+    given = nm.df.select(F.struct(*nm.keys).alias("k"), nm.values().alias("a"))
+    most = max(n, block_rows or block_rows_for(n))
+
+    def once(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        from pyspark import TaskContext
+
+        base, made, held, size = TaskContext.get().partitionId() << 32, 0, [], 0
+        pieces = (b.slice(start, most) for b in batches for start in range(0, b.num_rows, most))
+        for piece in pieces:
+            if held and size + piece.num_rows > most:
+                one = pa.Table.from_batches(held).combine_chunks().to_batches()[0]
+                if (out := _factored(base + made, one.column(0), one.column(1), n, policy)) is not None:
+                    yield out
+                made, held, size = made + 1, [], 0
+            held.append(piece)
+            size += piece.num_rows
+        if held:
+            one = pa.Table.from_batches(held).combine_chunks().to_batches()[0]
+            if (out := _factored(base + made, one.column(0), one.column(1), n, policy)) is not None:
+                yield out
+
+    return given.mapInArrow(once, _stage_schema(given.schema["k"].dataType))
 
 
 def _slices(ids: list[int], rs: list[list[float]], n: int) -> tuple[list[np.ndarray], np.ndarray]:
@@ -142,23 +180,21 @@ def direct_apply(stage_table: DataFrame, slices: DataFrame, n: int, how: str = "
     both = blocks.join(F.broadcast(slices) if how == "broadcast" else slices, "block_id")
     width = n if fold is None else fold.shape[1]
     keys = blocks.schema["keys"].dataType.elementType
-    schema = T.StructType([T.StructField("keys", T.ArrayType(keys)), *(T.StructField(f"q{i}", T.ArrayType(T.DoubleType())) for i in range(width))])
+    schema = T.StructType([*keys.fields, *(T.StructField(f"q{i}", T.DoubleType()) for i in range(width))])
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for k in range(b.num_rows):
                 one = b.slice(k, 1)
                 rows = one.column(2)[0].as_py()
-                q = one.column(1).flatten().to_numpy().reshape(-1, rows) @ one.column(3).flatten().to_numpy().reshape(rows, n)
-                if fold is not None:
-                    q = q @ fold
-                # a record batch of one block: its keys, and each column of Q, as lists
-                columns = [pa.ListArray.from_arrays(pa.array([0, len(q)], pa.int32()), pa.array(np.ascontiguousarray(q[:, i]))) for i in range(width)]
-                yield pa.RecordBatch.from_arrays([one.column(0), *columns], names=schema.names)
+                small = one.column(3).flatten().to_numpy().reshape(rows, n)
+                q = one.column(1).flatten().to_numpy().reshape(-1, rows) @ (small if fold is None else small @ fold)
+                own = one.column(0).flatten().flatten()
+                for start in range(0, len(q), ROWS_OUT):
+                    part = q[start : start + ROWS_OUT]
+                    yield pa.RecordBatch.from_arrays([*(c.slice(start, len(part)) for c in own), *(pa.array(np.ascontiguousarray(part[:, i])) for i in range(width))], names=schema.names)
 
-    wide = both.select("keys", "q", "r_rows", "q2").mapInArrow(kernel, schema)
-    each = wide.select(F.inline(F.arrays_zip("keys", *(f"q{i}" for i in range(width)))))
-    return each.select("keys.*", *(f"q{i}" for i in range(width)))
+    return both.select("keys", "q", "r_rows", "q2").mapInArrow(kernel, schema)
 
 
 def slice_traffic(blocks: int, n: int) -> int:
@@ -171,17 +207,21 @@ def gather_bytes(blocks: int, n: int) -> int:
     return 8 * blocks * n * n
 
 
-def direct(nm: NarrowMatrix, n_blocks: int, stage: Stage, combine: str = "auto", fan_in: int | None = None, deliver: str = "auto", fold_left: bool = False, want_q: bool = True, replay: bool = False):
-    """(q, r): q is a lazy frame over the stage table (None if not wanted). With fold_left, q is U of the SVD.
+def direct(nm: NarrowMatrix, stage: Stage, n_blocks: int | None = None, block_rows: int | None = None, combine: str = "auto", fan_in: int | None = None, deliver: str = "auto", want_q: bool = True, replay: bool = False):
+    """(q, r): q is a lazy frame over the stage table (None if not wanted).
 
     combine: driver, task, recursive, or auto (recursive when the stack exceeds STACK_BYTES). deliver: broadcast (behind
     a check of the slices' size), join, or auto. With replay the local Qs aren't written: step 3 factors the blocks again.
     """
     n = nm.n
-    local = direct_local(nm, n_blocks)
+    if replay and not n_blocks:
+        raise FactorizationError("blocks can be made again only if their number is given")
+    local = direct_local(nm, n_blocks, block_rows)
     table = stage.write(local.drop("q", "keys") if replay else local, "blocks")
-    rs = table.select("block_id", "r")
-    size = gather_bytes(n_blocks, n)
+    rs, count = table.select("block_id", "r"), table.count()
+    size = gather_bytes(count, n)
+    if not count:
+        raise TooFewRows("no rows")
     if combine == "auto":
         combine = "recursive" if size > STACK_BYTES else "driver"
     if combine == "driver":
@@ -189,7 +229,7 @@ def direct(nm: NarrowMatrix, n_blocks: int, stage: Stage, combine: str = "auto",
     elif combine == "task":
         slices, r = combine_in_task(rs, n, stage)
     elif combine == "recursive":
-        slices, r = combine_recursively(rs, n, n_blocks, fan_in or max(2, STACK_BYTES // (8 * n * n)), stage)
+        slices, r = combine_recursively(rs, n, count, fan_in or max(2, STACK_BYTES // (8 * n * n)), stage)
     else:
         raise FactorizationError(f"no combine {combine!r}")
     if len(r) < n:
@@ -200,5 +240,4 @@ def direct(nm: NarrowMatrix, n_blocks: int, stage: Stage, combine: str = "auto",
         deliver = "broadcast" if size <= BROADCAST_BYTES else "join"
     if deliver == "broadcast" and size > BROADCAST_BYTES:
         raise FactorizationError("the slices are too large to broadcast")
-    fold = np.linalg.svd(r)[0] if fold_left else None
-    return direct_apply(local if replay else table, slices, n, deliver, fold), r
+    return direct_apply(local if replay else table, slices, n, deliver), r

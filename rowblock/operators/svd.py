@@ -45,7 +45,7 @@ def numerical_rank(nm: NarrowMatrix, tolerance: float = 1e-12) -> int:
     return int((s > tolerance * s[0]).sum()) if len(s) and s[0] > 0 else 0
 
 
-def svd(nm: NarrowMatrix, k: int | None = None, left: bool = True, keep_q: bool = False, n_blocks: int = 8, stage: Stage | None = None, **opts) -> SVDResult:
+def svd(nm: NarrowMatrix, k: int | None = None, left: bool = True, keep_q: bool = False, n_blocks: int | None = None, block_rows: int | None = None, stage: Stage | None = None) -> SVDResult:
     """Without left vectors one pass over A. With them the passes of the direct method: U of the small R is folded into the slices;
     keep_q instead makes Q first and multiplies it afterwards."""
     if not left:
@@ -53,10 +53,10 @@ def svd(nm: NarrowMatrix, k: int | None = None, left: bool = True, keep_q: bool
         _, vt = _oriented(np.eye(len(vt)), vt)
         return SVDResult(None, s[:k], vt[:k].T)
     stage = stage or Stage(nm.df.sparkSession)
-    local = d.direct_local(nm, n_blocks)
-    table = stage.write(local, "svd_blocks")
-    size = d.gather_bytes(n_blocks, nm.n)
-    slices, r = d.combine_on_driver(table.select("block_id", "r"), nm.n) if size <= d.STACK_BYTES else d.combine_recursively(table.select("block_id", "r"), nm.n, n_blocks, max(2, d.STACK_BYTES // (8 * nm.n**2)), stage)
+    table = stage.write(d.direct_local(nm, n_blocks, block_rows), "svd_blocks")
+    count = table.count()
+    size = d.gather_bytes(count, nm.n)
+    slices, r = d.combine_on_driver(table.select("block_id", "r"), nm.n) if size <= d.STACK_BYTES else d.combine_recursively(table.select("block_id", "r"), nm.n, count, max(2, d.STACK_BYTES // (8 * nm.n**2)), stage)
     u, s, vt = np.linalg.svd(r)
     u, vt = _oriented(u, vt)
     how = "broadcast" if size <= d.BROADCAST_BYTES else "join"

@@ -60,13 +60,13 @@ class QRResult:
             self.stage.release()
 
 
-def qr(nm: NarrowMatrix, method: str = "auto", refine: int = 0, want_q: bool = True, n_blocks: int = 8, stage: Stage | None = None, fallback: bool = False, **opts) -> QRResult:
+def qr(nm: NarrowMatrix, method: str = "auto", refine: int = 0, want_q: bool = True, n_blocks: int | None = None, stage: Stage | None = None, fallback: bool = False, **opts) -> QRResult:
     """Factor a narrow matrix. See METHODS; "auto" asks the planner. Options go to the method."""
     reason = ""
     if method == "auto":
         from .plans.planner import choose_method
 
-        method, refine, reason = choose_method(None, nm.n, want_q=want_q, n_blocks=n_blocks)
+        method, refine, reason = choose_method(None, nm.n, want_q=want_q, n_blocks=n_blocks or nm.df.rdd.getNumPartitions())
     report = RunReport(method + ("+ir" if refine else ""), reason=reason)
     stage = stage or Stage(nm.df.sparkSession)
     began = time.perf_counter()
@@ -87,7 +87,7 @@ def qr(nm: NarrowMatrix, method: str = "auto", refine: int = 0, want_q: bool = T
     elif method in ("direct", "direct_rec"):
         if not want_q:
             return qr(nm, "rtree", want_q=False, n_blocks=n_blocks, stage=stage)
-        q, r = d.direct(nm, n_blocks, stage, opts.get("combine", "recursive" if method == "direct_rec" else "auto"), opts.get("fan_in"), opts.get("deliver", "auto"), replay=opts.get("replay", False))
+        q, r = d.direct(nm, stage, n_blocks, opts.get("block_rows"), opts.get("combine", "recursive" if method == "direct_rec" else "auto"), opts.get("fan_in"), opts.get("deliver", "auto"), replay=opts.get("replay", False))
         report.passes = 2
     elif method == "householder":
         state = h.factor(nm, opts.get("form", "one_pass"), opts.get("max_columns"), stage)

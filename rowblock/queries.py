@@ -153,7 +153,9 @@ _q_query("s4_refine_fused_raw4", method="cholesky", refine=1, fused=True)
 _q_query("d3_broadcast_q_raw4", method="direct", deliver="broadcast")
 _q_query("d3b_join_q_raw4", method="direct", deliver="join")
 _q_query("d4_q_raw4", method="direct")
-_q_query("d6_replay_q_raw4", method="direct", replay=True)
+_q_query("d8_small_blocks_q_raw4", method="direct", block_rows=3000)
+_q_query("d1_dealt_blocks_q_raw4", method="direct", n_blocks=16)
+_q_query("d6_replay_q_raw4", method="direct", replay=True, n_blocks=16)
 _q_query("rd1_q_raw4", method="direct_rec", fan_in=2, n_blocks=16)
 
 
@@ -371,7 +373,7 @@ def k1(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("k7_step_shares_cheb10", _expect("shares add up to one"))
 def k7(spark: SparkSession, sf_dir: str) -> DataFrame:
-    t = ex.direct_step_times(fx.cheb(spark, sf_dir, 10), 16)
+    t = ex.direct_step_times(fx.cheb(spark, sf_dir, 10))
     return _flags(spark, [("shares add up to one", abs(sum(x / sum(t.values()) for x in t.values()) - 1) < 1e-9)])
 
 
