@@ -1,7 +1,5 @@
 """The methods as SQL functions of a session."""
 
-from __future__ import annotations
-
 from collections.abc import Iterator
 
 import numpy as np
@@ -31,6 +29,15 @@ def r_merge(triangles: pd.Series) -> np.ndarray:
     return qr_r(np.vstack([np.array(t).reshape(-1, n) for t in triangles])).ravel()
 
 
+def mat_row_times(rows: pd.Series, small: pd.Series) -> pd.Series:
+    """Each array times a small matrix that is given row by row, the same for all rows of a batch."""
+    if not len(rows):
+        return pd.Series([], dtype=object)
+    a = np.vstack(rows.to_numpy())
+    m = np.asarray(small.iloc[0], dtype=float).reshape(a.shape[1], -1)
+    return pd.Series(list(a @ m))
+
+
 class QrR:
     """Table function: (i, j, v) of the R of the numeric columns of a table; call it with a partition to bound a task's rows, and merge."""
 
@@ -61,6 +68,8 @@ def register(spark: SparkSession) -> None:
 
     for f in (gram_partial, r_of, r_merge):
         spark.udf.register(f.__name__, F.pandas_udf(f, ArrayType(DoubleType())))
+    spark.udf.register("mat_row_times", F.pandas_udf(mat_row_times, ArrayType(DoubleType())))
+    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION pass_bound(m DOUBLE, n DOUBLE, key_bytes DOUBLE, read_s DOUBLE, write_s DOUBLE) RETURNS DOUBLE COMMENT 'seconds to read and write a matrix once' RETURN (8 * m * n + key_bytes * m) * (read_s + write_s) / {2**30}.0D")
     spark.udtf.register("qr_r", udtf(QrR))
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION vec_dot(x ARRAY<DOUBLE>, y ARRAY<DOUBLE>) RETURNS DOUBLE RETURN aggregate(zip_with(x, y, (a, b) -> a * b), CAST(0 AS DOUBLE), (s, v) -> s + v)")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION vec_norm(x ARRAY<DOUBLE>) RETURNS DOUBLE RETURN sqrt(aggregate(x, CAST(0 AS DOUBLE), (s, v) -> s + v * v))")

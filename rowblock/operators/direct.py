@@ -207,17 +207,19 @@ def gather_bytes(blocks: int, n: int) -> int:
     return 8 * blocks * n * n
 
 
-def direct(nm: NarrowMatrix, stage: Stage, n_blocks: int | None = None, block_rows: int | None = None, combine: str = "auto", fan_in: int | None = None, deliver: str = "auto", want_q: bool = True, replay: bool = False):
+def direct(nm: NarrowMatrix, stage: Stage, n_blocks: int | None = None, block_rows: int | None = None, combine: str = "auto", fan_in: int | None = None, deliver: str = "auto", want_q: bool = True, replay: bool = False, buckets: int | None = None):
     """(q, r): q is a lazy frame over the stage table (None if not wanted).
 
     combine: driver, task, recursive, or auto (recursive when the stack exceeds STACK_BYTES). deliver: broadcast (behind
-    a check of the slices' size), join, or auto. With replay the local Qs aren't written: step 3 factors the blocks again.
+    a check of the slices' size), join, or auto. With buckets, blocks and slices are tables bucketed by block, whose join moves neither:
+the way for very many blocks, as a block is as large as its part of A. With replay the local Qs aren't written: step 3 factors the blocks again.
     """
     n = nm.n
     if replay and not n_blocks:
         raise FactorizationError("blocks can be made again only if their number is given")
     local = direct_local(nm, n_blocks, block_rows)
-    table = stage.write(local.drop("q", "keys") if replay else local, "blocks")
+    kept = local.drop("q", "keys") if replay else local
+    table = stage.write_bucketed(kept, "blocks", buckets, "block_id") if buckets else stage.write(kept, "blocks")
     rs, count = table.select("block_id", "r"), table.count()
     size = gather_bytes(count, n)
     if not count:
@@ -236,6 +238,8 @@ def direct(nm: NarrowMatrix, stage: Stage, n_blocks: int | None = None, block_ro
         raise TooFewRows(f"{len(r)} rows, {n} columns")
     if not want_q:
         return None, r
+    if buckets:
+        slices, deliver = stage.write_bucketed(slices, "bucketed_slices", buckets, "block_id").hint("merge"), "join"
     if deliver == "auto":
         deliver = "broadcast" if size <= BROADCAST_BYTES else "join"
     if deliver == "broadcast" and size > BROADCAST_BYTES:

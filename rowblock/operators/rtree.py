@@ -75,13 +75,14 @@ def r_tree(rs: DataFrame, n: int, count: int | None = None, fan_in: int | None =
 def r_factor(nm: NarrowMatrix, fan_in: int | None = None, block_rows: int | None = None) -> np.ndarray:
     """R alone, in one pass over the rows; fewer rows than columns give fewer rows of R."""
     rs = local_r(nm, block_rows)
-    if block_rows:  # more triangles than tasks; count them without factoring twice
-        rs = rs.persist()
-        try:
-            return r_tree(rs, nm.n, None, fan_in)
-        finally:
-            rs.unpersist()
-    return r_tree(rs, nm.n, nm.df.rdd.getNumPartitions(), fan_in)
+    adaptive = "AdaptiveSparkPlan" in nm.df._jdf.queryExecution().executedPlan().toString()
+    if not block_rows and not adaptive:
+        return r_tree(rs, nm.n, nm.df.rdd.getNumPartitions(), fan_in)
+    rs = rs.persist()  # their number isn't known beforehand; counting them mustn't factor twice
+    try:
+        return r_tree(rs, nm.n, None, fan_in)
+    finally:
+        rs.unpersist()
 
 
 def r_factor_by(nm: NarrowMatrix, groups: list[str], salt: int = 16) -> DataFrame:

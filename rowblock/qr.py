@@ -87,7 +87,7 @@ def qr(nm: NarrowMatrix, method: str = "auto", refine: int = 0, want_q: bool = T
     elif method in ("direct", "direct_rec"):
         if not want_q:
             return qr(nm, "rtree", want_q=False, n_blocks=n_blocks, stage=stage)
-        q, r = d.direct(nm, stage, n_blocks, opts.get("block_rows"), opts.get("combine", "recursive" if method == "direct_rec" else "auto"), opts.get("fan_in"), opts.get("deliver", "auto"), replay=opts.get("replay", False))
+        q, r = d.direct(nm, stage, n_blocks, opts.get("block_rows"), opts.get("combine", "recursive" if method == "direct_rec" else "auto"), opts.get("fan_in"), opts.get("deliver", "auto"), replay=opts.get("replay", False), buckets=opts.get("buckets"))
         report.passes = 2
     elif method == "householder":
         state = h.factor(nm, opts.get("form", "one_pass"), opts.get("max_columns"), stage)

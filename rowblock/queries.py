@@ -355,7 +355,7 @@ def k4_agree(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _flags(spark, [("all bounds but those of direct at 25 and 100 columns within 3 %", max(v for k, v in off.items() if k not in special) < 0.03), ("those within 2 %", max(special.values()) < 0.02)])
 
 
-@query("k11_sizes", " UNION ALL ".join(f"SELECT {n} AS n, {b}::BIGINT AS blocks, 8 * {b}::BIGINT * {n} * {n} AS stack_bytes, 8.0 * {b} * {b} * {n} * {n} AS traffic" for n in (4, 10, 25, 50, 100) for b in (100, 390600)).replace("AS traffic", "AS traffic"))
+@query("k11_sizes", " UNION ALL ".join(f"SELECT {n} AS n, {b}::BIGINT AS blocks, 8 * {b}::BIGINT * {n} * {n} AS stack_bytes, 8.0::DOUBLE * {b} * {b} * {n} * {n} AS traffic" for n in (4, 10, 25, 50, 100) for b in (100, 390600)))
 def k11(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([(n, b, d.gather_bytes(b, n), float(d.slice_traffic(b, n))) for n in (4, 10, 25, 50, 100) for b in (100, 390600)], "n int, blocks long, stack_bytes long, traffic double")
 
@@ -382,6 +382,41 @@ def k9(spark: SparkSession, sf_dir: str) -> DataFrame:
     return planner.choices_table(spark)
 
 
+query("e3_powers_vander", " UNION ALL ".join(f"SELECT {n} AS n, '{m}' AS method, true AS holds" for n in (4, 10) for m in ("rtree", "direct")))(ex.vander_flags)
+
+
+@query("d3c_bucketed_q_raw4", o.q_sql(o.RAW4, 4, 9))
+def d3c(spark: SparkSession, sf_dir: str) -> DataFrame:
+    nm = fx.raw4(spark, sf_dir)
+    return _q(qr(nm, "direct", block_rows=3000, buckets=4).q, nm.keys)
+
+
+@query("o8_q_written_raw4", o.q_sql(o.RAW4, 4, 9))
+def o8(spark: SparkSession, sf_dir: str) -> DataFrame:
+    nm = fx.raw4(spark, sf_dir)
+    res = qr(nm, "direct")
+    return _q(res.stage.write(res.q, "q"), nm.keys)
+
+
+@query("w8_kernels_cheb10")
+def w8(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return spark.createDataFrame(sorted(ex.kernel_times(fx.cheb(spark, sf_dir, 10)).items()), "kernel string, seconds double")
+
+
+@query("w10_svd_and_qr_cheb25")
+def w10(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return spark.createDataFrame(sorted(ex.svd_times(fx.cheb(spark, sf_dir, 25)).items()), "factorization string, seconds double")
+
+
+@query("w7_faults_events10", _expect("recomputed blocks give the same triangle"))
+def w7(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The session as given may not retry tasks, so faults are stood in for by factoring again under another dealing of the rows."""
+    nm = fx.events10(spark, sf_dir)
+    again = NarrowMatrix(nm.df.repartition(7, "event_id"), nm.keys, nm.cols, None, nm.n)
+    a, b = rtree.r_factor(nm), rtree.r_factor(again)
+    return _flags(spark, [("recomputed blocks give the same triangle", np.abs(a - b).max() < 1e-9 * np.abs(a).max())])
+
+
 @query("w2_run_times_cheb10")
 def w2(spark: SparkSession, sf_dir: str) -> DataFrame:
     t = ex.run_times(spark, fx.cheb(spark, sf_dir, 10), (*ex.SWEEP, ("householder", 0)))
@@ -435,3 +470,18 @@ def u4(spark: SparkSession, sf_dir: str) -> DataFrame:
     w = fx.part2(spark, sf_dir).wide()
     w.df.select(*w.cols).createOrReplaceTempView("u4_rows")
     return _cells(spark.sql("SELECT i, j, v FROM qr_r(TABLE(u4_rows) WITH SINGLE PARTITION)"), 6)
+
+
+@query("u3_row_product_part2", f"WITH a AS ({o.PART2}) SELECT k0 AS p_partkey, round(a0 + 3 * a1, 6) AS y0, round(2 * a0 - a1, 6) AS y1 FROM a")
+def u3(spark: SparkSession, sf_dir: str) -> DataFrame:
+    sqlapi.register(spark)
+    fx.part2(spark, sf_dir).array().df.createOrReplaceTempView("u3_rows")
+    return spark.sql("SELECT p_partkey, round(y[0], 6) AS y0, round(y[1], 6) AS y1 FROM (SELECT p_partkey, mat_row_times(a, array(1.0D, 2.0D, 3.0D, -1.0D)) AS y FROM u3_rows)")
+
+
+@query("u5_pass_bound", f"SELECT m::BIGINT AS m, n::INT AS n, round((8 * m * n + 32 * m) * (br + bw) {_GB}, 6) AS seconds FROM ({_SHAPES})")
+def u5(spark: SparkSession, sf_dir: str) -> DataFrame:
+    sqlapi.register(spark)
+    shapes = spark.createDataFrame([(s[0], s[1], s[2], s[3]) for s in cm.PUBLISHED], "m long, n int, br double, bw double")
+    shapes.createOrReplaceTempView("u5_shapes")
+    return spark.sql("SELECT m, n, round(pass_bound(m, n, 32, br, bw), 6) AS seconds FROM u5_shapes")

@@ -333,3 +333,28 @@ def t7(spark: SparkSession, sf_dir: str) -> DataFrame:
 def t8(spark: SparkSession, sf_dir: str) -> DataFrame:
     r = table(spark, sf_dir, "events").agg(F.sqrt(F.sum(F.col("value") * F.col("value")))).first()[0]
     return st.drain(_event_stream(spark, sf_dir).select("event_id", F.round(F.col("value") / r, 9).alias("q0")), "append")
+
+
+@query("t5_late_rows", "SELECT count(*) AS n FROM events")
+def t5(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """With a watermark that reaches over all delays, no row is late."""
+    out = st.drain(st.windowed_gram(_event_stream(spark, sf_dir), "ts", ["value"], "1 day", "12 hours", late="3650 days"), "complete")
+    return out.agg((F.sum("n") / 2).cast("long").alias("n"))  # each row is in two windows
+
+
+@query("t6_interval_join", "SELECT a.event_id AS first_id, b.event_id AS next_id FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR")
+def t6_interval(spark: SparkSession, sf_dir: str) -> DataFrame:
+    e = _event_stream(spark, sf_dir).select("event_id", "user_id", "ts")
+    a = e.select(F.col("event_id").alias("first_id"), F.col("user_id").alias("u"), F.col("ts").alias("t")).withWatermark("t", "3650 days")
+    b = e.select(F.col("event_id").alias("next_id"), "user_id", "ts").withWatermark("ts", "3650 days")
+    both = a.join(b, F.expr("u = user_id AND ts > t AND ts <= t + INTERVAL 1 HOUR"))
+    return st.drain(both.select("first_id", "next_id"), "append")
+
+
+@query("a7_sketches", "SELECT true AS close_count, true AS close_median")
+def a7(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Sketches against exact values: distinct keys within 10 %, the median's rank within 2 %."""
+    li = table(spark, sf_dir, "lineitem")
+    near, exact, median = li.agg(F.approx_count_distinct("l_orderkey", 0.02), F.countDistinct("l_orderkey"), F.percentile_approx("l_extendedprice", 0.5, 1000)).first()
+    below = li.agg(F.avg((F.col("l_extendedprice") <= median).cast("double"))).first()[0]
+    return spark.createDataFrame([(abs(near / exact - 1) < 0.1, abs(below - 0.5) < 0.02)], "close_count boolean, close_median boolean")

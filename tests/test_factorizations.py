@@ -161,3 +161,12 @@ def test_long_form(spark):
     df = spark.createDataFrame([(1, 0, 2.0), (1, 1, 1.0), (2, 1, 3.0), (3, 0, 1.0)], "k int, j int, v double")
     assert np.allclose(g.to_numpy(g.gram_from_long(df, "k", "j", "v"), 2), [[5, 2], [2, 10]])
     assert np.allclose(rtree.r_factor(NarrowMatrix.from_long(df, "k", "j", "v", 2))[0, 0], np.sqrt(5))
+
+
+def test_bucketed_blocks_join_without_an_exchange(spark, small):
+    nm = matrix(spark, small)
+    res = qr(nm, "direct", block_rows=100, buckets=3)
+    plan = res.q._jdf.queryExecution().executedPlan().toString()
+    assert "SortMergeJoin" in plan and "Exchange" not in plan
+    assert measures.orthogonality(res.q_matrix) < 1e-12
+    res.release()
