@@ -45,7 +45,7 @@ class Training:
 
     toxic_docs: int = 2000
     ordinary_docs: int = 4000
-    longest_text: int = 200_000
+    longest_text: int = 40_000
     base_words: int = 1000
     toxic_words: int = 3000
     least_contexts: int = 4
@@ -206,7 +206,7 @@ def held_out(doc_id: Column) -> Column:
 def learn(docs: DataFrame, labels: DataFrame, training: Training | None = None) -> Model:
     """Fit on a bounded sample of labelled rows, taken in the order of a hash of their id; only its ids are broadcast."""
     t = training or Training()
-    usable = labels.where("doc_id IS NOT NULL AND toxic IS NOT NULL").where(~held_out(F.col("doc_id"))).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
+    usable = labels.where("doc_id IS NOT NULL AND toxic IN (0, 1)").where(~held_out(F.col("doc_id"))).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     counts = {int(r["toxic"]): r["n"] for r in usable.groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
     prior = min(0.5, max(0.001, counts.get(1, 0) / max(1, sum(counts.values()))))
     order = F.xxhash64("doc_id")
