@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from ..blocks import map_rows
 from ..errors import FactorizationError
-from ..kernels import invert_upper, qr_r, solve_right
+from ..kernels import invert_upper, solve_right
 from ..matrix import NarrowMatrix
 from . import gram as g
 from . import rtree
@@ -80,7 +80,3 @@ def _replay(nm: NarrowMatrix, chain: list[np.ndarray]) -> DataFrame:
         return rows
 
     return map_rows(nm, kernel, nm.n)
-
-
-def normalised(r: np.ndarray) -> np.ndarray:
-    return qr_r(r)

@@ -10,6 +10,12 @@ ORD5 = "SELECT o_orderkey AS k0, 1.0::DOUBLE AS a0, o_totalprice AS a1, c_acctba
 PAGE5 = "SELECT page_id AS k0, " + ", ".join(f"((length(html) - length(replace(html, '{s}', ''))) / {len(s)})::DOUBLE AS a{i}" for i, s in enumerate(("<p", "<a", "<li", "&amp;"))) + ", length(html)::DOUBLE AS a4 FROM pages"
 TURN4 = "SELECT conv_id AS k0, 1.0::DOUBLE AS a0, turn::DOUBLE AS a1, length(coalesce(text, ''))::DOUBLE AS a2, (coalesce(role, '') = 'user')::DOUBLE AS a3 FROM conversations"
 
+EVENT10 = (
+    "WITH s AS (SELECT event_id AS k0, greatest(-1.0, least(1.0, value / 300 - 1)) AS x, hour(ts) / 11.5 - 1 AS y FROM events), t AS (SELECT *, 2 * y * y - 1 AS y2 FROM s), u AS (SELECT *, 2 * y * y2 - y AS y3 FROM t), v AS (SELECT *, 2 * y * y3 - y2 AS y4 FROM u) SELECT k0, "
+    + ", ".join(f"({a} * {b})::DOUBLE AS a{5 * i + j}" for i, a in enumerate(("1.0", "x")) for j, b in enumerate(("1.0", "y", "y2", "y3", "y4")))
+    + " FROM v"
+)
+
 
 def cheb(a: int, b: int) -> str:
     """Products of polynomials, i-major, by the recurrence over columns."""

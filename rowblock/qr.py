@@ -13,7 +13,8 @@ from .matrix import NarrowMatrix
 from .operators import direct as d
 from .operators import gram as g
 from .operators import householder as h
-from .operators import indirect, rtree
+from .operators import indirect
+from .operators import panel as p
 from .staging import Stage
 
 METHODS = ("cholesky", "rtree", "direct", "direct_rec", "householder")
@@ -89,6 +90,11 @@ def qr(nm: NarrowMatrix, method: str = "auto", refine: int = 0, want_q: bool = T
             return qr(nm, "rtree", want_q=False, n_blocks=n_blocks, stage=stage)
         q, r = d.direct(nm, stage, n_blocks, opts.get("block_rows"), opts.get("combine", "recursive" if method == "direct_rec" else "auto"), opts.get("fan_in"), opts.get("deliver", "auto"), replay=opts.get("replay", False), buckets=opts.get("buckets"))
         report.passes = 2
+    elif method == "householder" and opts.get("form") == "panel":
+        panels = p.factor(nm, opts.get("panel", 4))
+        r = panels.r
+        q = p.q_factor(nm, panels) if want_q else None
+        report.passes = panels.passes + 2 * want_q
     elif method == "householder":
         state = h.factor(nm, opts.get("form", "one_pass"), opts.get("max_columns"), stage)
         r = state.r
@@ -100,4 +106,4 @@ def qr(nm: NarrowMatrix, method: str = "auto", refine: int = 0, want_q: bool = T
     return QRResult(q, r, report, nm, stage)
 
 
-__all__ = ["METHODS", "QRResult", "RunReport", "qr", "rtree"]
+__all__ = ["METHODS", "QRResult", "RunReport", "qr"]

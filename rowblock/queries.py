@@ -109,6 +109,7 @@ _r_query("d5_r_only_cheb10", _cheb10, CHEB10, 10, method="direct")
 _r_query("h1_three_pass_cheb4", _cheb4, CHEB4, 4, method="householder", form="three_pass")
 _r_query("h2_two_pass_cheb4", _cheb4, CHEB4, 4, method="householder", form="two_pass")
 _r_query("h3_one_pass_cheb10", _cheb10, CHEB10, 10, method="householder")
+_r_query("h8_panels_events10", fx.events10, o.EVENT10, 10, 5, method="householder", form="panel", panel=4)
 _r_query("r_ord5", fx.orders5, o.ORD5, 5, 2, method="rtree")
 _r_query("r_page5", fx.pages5, o.PAGE5, 5, 3, method="rtree")
 _r_query("w12_groups_turns4", fx.turns4, o.TURN4, 4, 4, method="rtree")
@@ -165,6 +166,12 @@ def h5(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _q(qr(nm, "householder").q, nm.keys)
 
 
+@query("h8_q_part2", o.q_sql(o.PART2, 2, 9, "k0").replace("SELECT k0, ", "SELECT k0 AS p_partkey, "))
+def h8(spark: SparkSession, sf_dir: str) -> DataFrame:
+    nm = fx.part2(spark, sf_dir)
+    return _q(qr(nm, "householder", form="panel", panel=1).q, nm.keys)
+
+
 @query("h6_extrapolated_cheb10", _expect("four columns were timed", "the estimate covers all columns"))
 def h6(spark: SparkSession, sf_dir: str) -> DataFrame:
     state = householder.factor(fx.cheb(spark, sf_dir, 10), "one_pass", 4)

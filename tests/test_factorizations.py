@@ -15,7 +15,7 @@ from rowblock.qr import qr
 
 CASES = [
     ("cholesky", {}), ("cholesky", {"refine": 1}), ("rtree", {}), ("rtree", {"refine": 2}), ("rtree", {"refine": 1, "fused": False}), ("rtree", {"how": "solve"}), ("direct", {}), ("direct", {"block_rows": 300}), ("direct", {"n_blocks": 5, "combine": "task"}),
-    ("direct", {"n_blocks": 7, "replay": True, "deliver": "join"}), ("direct_rec", {"fan_in": 2, "block_rows": 300}), ("householder", {}), ("householder", {"form": "two_pass"}), ("householder", {"form": "three_pass"}),
+    ("direct", {"n_blocks": 7, "replay": True, "deliver": "join"}), ("direct_rec", {"fan_in": 2, "block_rows": 300}), ("householder", {}), ("householder", {"form": "two_pass"}), ("householder", {"form": "three_pass"}), ("householder", {"form": "panel", "panel": 2}), ("householder", {"form": "panel", "panel": 9}),
 ]
 
 
