@@ -169,8 +169,9 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     marked = cut_lineage(fingerprints(docs, id_col, text_col, words_per_shingle))
     distinct = cut_lineage(marked.groupBy("fp").agg(F.min("doc_id").alias("least_id")))
     roots = connected_components(near_links(distinct, max_bits))
-    rooted = distinct.join(roots, distinct["fp"] == roots["vertex"], "left").select("fp", "least_id", F.coalesce("root", "fp").alias("root"))
-    named = rooted.groupBy("root").agg(F.min("least_id").alias("component_id"))
+    rooted = cut_lineage(distinct.join(roots, distinct["fp"] == roots["vertex"], "left").select("fp", "least_id", F.coalesce("root", "fp").alias("root")))
+    # Written, so that the join deals both sides anew, and can split the fingerprints of a very large component.
+    named = cut_lineage(rooted.groupBy("root").agg(F.min("least_id").alias("component_id")))
     labels = rooted.join(named, "root").select("fp", "component_id")
     return marked.join(labels, "fp").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
