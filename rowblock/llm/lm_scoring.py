@@ -1,8 +1,8 @@
 """Documents scored by the difference of two language models' cross-entropies.
 
 Both models predict the next byte from the three before it, interpolated down to single bytes, so they share one vocabulary
-(256 bytes) and one smoothing. The background model counts all documents. The target model counts a bounded sample
-(``TARGET_DOCS``, in the order of a hash of the id) of those that are labelled as good, outside the fold held out for measuring. A document's score is its mean loss per byte under the background
+(256 bytes) and one smoothing. The background model counts all documents. The target model counts all
+that are labelled as good, outside the fold held out for measuring. Their ids are broadcast up to ``BROADCAST_IDS``, beyond that a join moves the texts. A document's score is its mean loss per byte under the background
 minus that under the target: the higher, the more it looks like the target.
 
 Counts of one and two bytes have a place for each; those of three and four are hashed into 2^20 places, so a model has a fixed
@@ -29,7 +29,7 @@ SIZES = (256, 1 << 16, 1 << BITS, 1 << BITS)
 OFFSETS = tuple(int(x) for x in np.cumsum([0, *SIZES]))
 STRENGTH = (0.5, 16.0, 16.0, 16.0)  # of the lower order, for orders 1 to 4
 FLUSH_BYTES = 2 << 20
-TARGET_DOCS = 20_000
+BROADCAST_IDS = 4_000_000  # 32 MB
 
 
 def _hashed(grams: np.ndarray) -> np.ndarray:
@@ -97,11 +97,29 @@ class Model:
         return float(-np.log(np.clip(p, 1e-12, 1.0)).sum(dtype=np.float64))
 
 
-def gather(docs: DataFrame, labels: DataFrame, target_docs: int = TARGET_DOCS) -> tuple[np.ndarray, np.ndarray]:
+def mark_target(docs: DataFrame, labels: DataFrame) -> DataFrame:
+    """(t, target): the bytes of every document, and whether it is one of the target's."""
+    good = labels.where("quality = 1 AND doc_id IS NOT NULL").where(~held_out(F.col("doc_id"))).select(F.col("doc_id").cast("long").alias("good_id")).distinct()
+    slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), utf8("text").alias("t"))
+    if good.count() > BROADCAST_IDS:
+        return slim.join(good.hint("merge"), F.col("doc_id") == F.col("good_id"), "left").select("t", F.col("good_id").isNotNull().alias("target"))
+    sent = docs.sparkSession.sparkContext.broadcast(np.sort(good.toArrow().column(0).to_numpy()))
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        ids = sent.value
+        for batch in batches:
+            own = batch.column(0)
+            known = own.fill_null(0).to_numpy(zero_copy_only=False)
+            at = np.minimum(np.searchsorted(ids, known), max(len(ids) - 1, 0))
+            found = (ids[at] == known) & own.is_valid().to_numpy(zero_copy_only=False) if len(ids) else np.zeros(len(known), dtype=bool)
+            yield pa.RecordBatch.from_arrays([batch.column(1), pa.array(found)], names=["t", "target"])
+
+    return map_arrow(slim, kernel, "t binary, target boolean")
+
+
+def gather(docs: DataFrame, labels: DataFrame) -> tuple[np.ndarray, np.ndarray]:
     """Counts of all documents and of the target's, each of fixed size."""
-    good = labels.where("quality = 1 AND doc_id IS NOT NULL").where(~held_out(F.col("doc_id"))).select(F.col("doc_id").alias("good_id")).distinct()
-    chosen = good.orderBy(F.xxhash64("good_id"), "good_id").limit(target_docs)  # so many ids at most are broadcast
-    marked = docs.select(F.col("doc_id"), utf8("text").alias("t")).join(F.broadcast(chosen), F.col("doc_id") == F.col("good_id"), "left").select("t", F.col("good_id").isNotNull().alias("target"))
+    marked = mark_target(docs, labels)
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         both = (Counts(), Counts())
