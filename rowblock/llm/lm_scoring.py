@@ -5,8 +5,12 @@ Both models predict the next byte from the three before it, interpolated down to
 that are labelled as good, outside the fold held out for measuring. Their ids are broadcast up to ``BROADCAST_IDS``, beyond that a join moves the texts. A document's score is its mean loss per byte under the background
 minus that under the target: the higher, the more it looks like the target.
 
-Counts of one and two bytes have a place for each; those of three and four are hashed into 2^20 places, so a model has a fixed
-size, which is what is broadcast. Every task adds up its own documents before the shuffle.
+All counts are exact and keyed by the gram itself. Every task adds up its own documents before the shuffle, and the counts stay a
+table. As each scored document is also counted, the losses of every four-byte gram that can occur follow from joins of that table
+with itself. This table of losses, which grows with the distinct grams of the input, is broadcast up to ``BROADCAST_GRAMS``; beyond that the
+grams of each document, summed up, are joined with it.
+
+At the first bytes of a text the context isn't counted, so a ratio may exceed 1 there; it counts as 1.
 
 Defined results: null and empty texts have no bytes, no loss and score 0; repeated rows count as often as they occur; a
 repeated label counts once; an empty table gives an empty result; without target documents all scores are 0.
@@ -18,43 +22,39 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark import TaskContext
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_arrow, utf8
+from .common import cut_lineage, map_arrow, utf8
 from .toxicity import held_out
 
-BITS = 20
-SIZES = (256, 1 << 16, 1 << BITS, 1 << BITS)
-OFFSETS = tuple(int(x) for x in np.cumsum([0, *SIZES]))
 STRENGTH = (0.5, 16.0, 16.0, 16.0)  # of the lower order, for orders 1 to 4
 FLUSH_BYTES = 2 << 20
+HELD_GRAMS = 1_000_000  # of one model in a task, before they are handed on
 BROADCAST_IDS = 4_000_000  # 32 MB
-
-
-def _hashed(grams: np.ndarray) -> np.ndarray:
-    return ((grams.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - BITS)).astype(np.int64)
+BROADCAST_GRAMS = 8_000_000  # 128 MB
 
 
 def places(data: bytes) -> tuple[list[np.ndarray], list[np.ndarray]]:
-    """For orders 1 to 4, the place of the gram that ends at each byte, and for 1 to 3 of that which ends before it.
+    """For orders 1 to 4, the gram that ends at each byte, and for 1 to 3 that which ends before it, as order << 32 | bytes.
 
     What stands before the text is zero.
     """
     n = len(data)
-    one = np.frombuffer(b"\0\0\0" + data, dtype=np.uint8).astype(np.uint32)
+    one = np.frombuffer(b"\0\0\0" + data, dtype=np.uint8).astype(np.int64)
     two = one[1:] | one[:-1] << 8
     three = two[1:] | one[:-2] << 16
-    four = three[1:].astype(np.uint64) | one[:-3].astype(np.uint64) << np.uint64(24)
-    single, double, triple = one[2:].astype(np.int64), two[1:].astype(np.int64), _hashed(three)
-    return [single[1:], double[1:], triple[1:], _hashed(four)], [single[:n], double[:n], triple[:n]]
+    four = three[1:] | one[:-3] << 24
+    single, double, triple = one[2:] | 1 << 32, two[1:] | 2 << 32, three | 3 << 32
+    return [single[1:], double[1:], triple[1:], four | 4 << 32], [single[:n], double[:n], triple[:n]]
 
 
 class Counts:
-    """Counts of all orders of one model, in one array."""
+    """Exact counts of all orders of one model: sorted grams and how often each occurs."""
 
-    def __init__(self, total: np.ndarray | None = None) -> None:
-        self.total = np.zeros(OFFSETS[-1], dtype=np.int64) if total is None else total
+    def __init__(self) -> None:
+        self.total = (np.empty(0, np.int64), np.empty(0, np.int64))
         self.waiting: list[bytes] = []
         self.bytes = 0
 
@@ -67,34 +67,51 @@ class Counts:
 
     def flush(self) -> None:
         if self.waiting:
-            grams = [places(x)[0] for x in self.waiting]
-            for order in range(4):
-                found = np.concatenate([x[order] for x in grams])
-                self.total[OFFSETS[order] : OFFSETS[order + 1]] += np.bincount(found, minlength=SIZES[order])
+            fours = np.concatenate([places(x)[0][3] for x in self.waiting])
+            four, n = np.unique(fours, return_counts=True)
+            found, times = [self.total[0]], [self.total[1]]
+            for order in (4, 3, 2, 1):  # a shorter gram ends each longer one
+                found.append(four & (1 << 8 * order) - 1 | order << 32)
+                times.append(n)
+            grams, at = np.unique(np.concatenate(found), return_inverse=True)
+            total = np.zeros(len(grams), dtype=np.int64)
+            np.add.at(total, at, np.concatenate(times))
+            self.total = (grams, total)
         self.waiting, self.bytes = [], 0
 
-    def rows(self) -> tuple[np.ndarray, np.ndarray]:
+    def take(self) -> tuple[np.ndarray, np.ndarray]:
+        """What was counted since the last time."""
         self.flush()
-        at = np.flatnonzero(self.total)
-        return at, self.total[at]
+        out, self.total = self.total, (np.empty(0, np.int64), np.empty(0, np.int64))
+        return out
+
+
+def _interpolated(single, pairs):
+    """The probability from that of order 1 and, for orders 2 to 4, the counts of gram and context."""
+    p = single
+    for order, (gram, context) in enumerate(pairs, 1):
+        p = (gram + STRENGTH[order] * p) / (context + STRENGTH[order])
+    return p
 
 
 class Model:
-    """Interpolated next-byte probabilities from counts."""
+    """Interpolated next-byte probabilities from exact counts."""
+
+    def __init__(self, total: tuple[np.ndarray, np.ndarray]) -> None:
+        self.grams, self.n = total
+        self.bytes = int(self.n[self.grams >> 32 == 1].sum())
 
-    def __init__(self, total: np.ndarray) -> None:
-        self.counts = [total[a:b].astype(np.float32) for a, b in zip(OFFSETS, OFFSETS[1:], strict=False)]
-        n = self.counts[0].sum()
-        self.single = (self.counts[0] + np.float32(STRENGTH[0])) / (n + np.float32(STRENGTH[0] * 256))
-        self.starts = [self.counts[0], self.counts[1], self.counts[2]]
+    def count(self, grams: np.ndarray) -> np.ndarray:
+        if not len(self.grams):
+            return np.zeros(len(grams))
+        at = np.minimum(np.searchsorted(self.grams, grams), len(self.grams) - 1)
+        return np.where(self.grams[at] == grams, self.n[at], 0).astype(np.float64)
 
     def loss(self, at: list[np.ndarray], before: list[np.ndarray]) -> float:
         """Nats over all bytes."""
-        p = self.single[at[0]]
-        for order in (1, 2, 3):
-            strength = np.float32(STRENGTH[order])
-            p = (self.counts[order][at[order]] + strength * p) / (self.starts[order - 1][before[order - 1]] + strength)
-        return float(-np.log(np.clip(p, 1e-12, 1.0)).sum(dtype=np.float64))
+        single = (self.count(at[0]) + STRENGTH[0]) / (self.bytes + STRENGTH[0] * 256)
+        p = _interpolated(single, [(self.count(at[k]), self.count(before[k - 1])) for k in (1, 2, 3)])
+        return float(-np.log(np.clip(p, 1e-12, 1.0)).sum())
 
 
 def mark_target(docs: DataFrame, labels: DataFrame) -> DataFrame:
@@ -117,9 +134,15 @@ def mark_target(docs: DataFrame, labels: DataFrame) -> DataFrame:
     return map_arrow(slim, kernel, "t binary, target boolean")
 
 
-def gather(docs: DataFrame, labels: DataFrame) -> tuple[np.ndarray, np.ndarray]:
-    """Counts of all documents and of the target's, each of fixed size."""
-    marked = mark_target(docs, labels)
+def gather(docs: DataFrame, labels: DataFrame) -> DataFrame:
+    """(gram, n0, n1): counts of all documents and of the target's."""
+
+    def rows(both: tuple[Counts, Counts]) -> Iterator[pa.RecordBatch]:
+        for kind, counts in enumerate(both):
+            grams, n = counts.take()
+            for i in range(0, len(grams), 100_000):
+                part, none = slice(i, i + 100_000), np.zeros(len(grams[i : i + 100_000]), dtype=np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(grams[part]), pa.array(none if kind else n[part]), pa.array(n[part] if kind else none)], names=["gram", "n0", "n1"])
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         both = (Counts(), Counts())
@@ -129,37 +152,76 @@ def gather(docs: DataFrame, labels: DataFrame) -> tuple[np.ndarray, np.ndarray]:
                 both[0].add(data)
                 if target:
                     both[1].add(data)
-        for kind, counts in enumerate(both):
-            at, n = counts.rows()
-            for i in range(0, len(at), 100_000):
-                part = slice(i, i + 100_000)
-                yield pa.RecordBatch.from_arrays([pa.array(at[part] + kind * OFFSETS[-1]), pa.array(n[part])], names=["place", "n"])
+            if len(both[0].total[0]) > HELD_GRAMS:
+                yield from rows(both)
+        yield from rows(both)
+
+    parts = map_arrow(mark_target(docs, labels), kernel, "gram long, n0 long, n1 long")
+    return cut_lineage(parts.groupBy("gram").agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1")))
+
+
+def gram_losses(counts: DataFrame) -> DataFrame:
+    """(gram, l0, l1): for each four-byte gram the loss of its last byte under the background and under the target."""
+    all_bytes = counts.where("gram >> 32 = 1").agg(F.coalesce(F.sum("n0"), F.lit(0)), F.coalesce(F.sum("n1"), F.lit(0))).first()
+    g = F.col("gram")
+    tail = lambda order, shift=0: F.shiftright(g, shift).bitwiseAND(F.lit((1 << 8 * order) - 1)).bitwiseOR(F.lit(order << 32))
+    wide = counts.where("gram >> 32 = 4").select("gram", F.col("n0").alias("g4_0"), F.col("n1").alias("g4_1"))
+    for name, order, shift in (("g3", 3, 0), ("c3", 3, 8), ("g2", 2, 0), ("c2", 2, 8), ("g1", 1, 0), ("c1", 1, 8)):
+        own = counts.where(f"gram >> 32 = {order}").select(F.col("gram").alias(f"{name}_gram"), F.col("n0").alias(f"{name}_0"), F.col("n1").alias(f"{name}_1"))
+        wide = wide.join(own if order == 3 else F.broadcast(own), tail(order, shift) == F.col(f"{name}_gram"), "left")  # 65,536 rows at most are broadcast
 
-    summed = map_arrow(marked, kernel, "place long, n long").groupBy("place").agg(F.sum("n").alias("n"))
-    table = summed.toArrow()  # at most 2 * OFFSETS[-1] rows of two numbers
-    total = np.zeros(2 * OFFSETS[-1], dtype=np.int64)
-    total[table.column("place").to_numpy()] = table.column("n").to_numpy()
-    return total[: OFFSETS[-1]], total[OFFSETS[-1] :]
+    def loss(kind: int) -> Column:
+        n = lambda name: F.coalesce(F.col(f"{name}_{kind}"), F.lit(0)).cast("double")
+        single = (n("g1") + STRENGTH[0]) / (all_bytes[kind] + STRENGTH[0] * 256)
+        p = _interpolated(single, [(n("g2"), n("c1")), (n("g3"), n("c2")), (n("g4"), n("c3"))])
+        return -F.log(F.least(F.greatest(p, F.lit(1e-12)), F.lit(1.0)))
+
+    return cut_lineage(wide.select("gram", loss(0).alias("l0"), loss(1).alias("l1")))
 
 
 def score(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """doc_id, n_tokens (bytes), target_loss and background_loss per token, and score for every document."""
-    background, target = gather(docs, labels)
-    sent = docs.sparkSession.sparkContext.broadcast((background.astype(np.float32), target.astype(np.float32)))
-    blind = not target.any()
+    counts = gather(docs, labels)
+    blind = counts.where("n1 > 0").isEmpty()
+    losses = gram_losses(counts)
+    slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), utf8("text").alias("t"))
+    summed = _sums_by_join(slim, losses) if losses.count() > BROADCAST_GRAMS else _sums_by_broadcast(slim, losses)
+    per = lambda c: F.when(F.col("n_tokens") > 0, F.col(c) / F.col("n_tokens")).otherwise(F.lit(0.0))
+    out = summed.select("doc_id", "n_tokens", per("s1").alias("target_loss"), per("s0").alias("background_loss"))
+    return out.withColumn("score", F.lit(0.0) if blind else F.col("background_loss") - F.col("target_loss"))
+
+
+def _sums_by_broadcast(slim: DataFrame, losses: DataFrame) -> DataFrame:
+    table = losses.orderBy("gram").toArrow()
+    sent = slim.sparkSession.sparkContext.broadcast(tuple(table.column(k).to_numpy().astype(kind) for k, kind in (("gram", np.int64), ("l0", np.float32), ("l1", np.float32))))
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        models = [Model(x) for x in sent.value]
+        grams, *of = sent.value
         for batch in batches:
-            n, losses = [], ([], [])
+            n, sums = [], ([], [])
             for x in batch.column(1):
                 data = x.as_py()
                 n.append(len(data))
-                at, before = places(data)
+                at = np.searchsorted(grams, places(data)[0][3])  # each gram was counted
                 for k in (0, 1):
-                    losses[k].append(models[k].loss(at, before) / len(data) if data else 0.0)
-            back, own = np.array(losses[0]), np.array(losses[1])
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(own), pa.array(back), pa.array(back * 0 if blind else back - own)], names=["doc_id", "n_tokens", "target_loss", "background_loss", "score"])
+                    sums[k].append(of[k][at].sum(dtype=np.float64) if data else 0.0)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(sums[0], pa.float64()), pa.array(sums[1], pa.float64())], names=["doc_id", "n_tokens", "s0", "s1"])
 
-    slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), utf8("text").alias("t"))
-    return map_arrow(slim, kernel, "doc_id long, n_tokens long, target_loss double, background_loss double, score double")
+    return map_arrow(slim, kernel, "doc_id long, n_tokens long, s0 double, s1 double")
+
+
+def _sums_by_join(slim: DataFrame, losses: DataFrame) -> DataFrame:
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        row = TaskContext.get().partitionId() << 40
+        for batch in batches:
+            for doc, x in zip(batch.column(0), batch.column(1), strict=True):
+                data = x.as_py()
+                grams, times = np.unique(places(data)[0][3], return_counts=True) if data else (np.zeros(1, np.int64), np.zeros(1, np.int64))
+                m = len(grams)
+                yield pa.RecordBatch.from_arrays([pa.array([row] * m), pa.array([doc.as_py()] * m, pa.int64()), pa.array([len(data)] * m), pa.array(grams), pa.array(times)], names=["row", "doc_id", "n_tokens", "own", "times"])
+                row += 1
+
+    each = map_arrow(slim, kernel, "row long, doc_id long, n_tokens long, own long, times long").join(losses, F.col("own") == F.col("gram"), "left")
+    total = lambda k: F.coalesce(F.sum(F.col(f"l{k}") * F.col("times")), F.lit(0.0)).alias(f"s{k}")
+    return each.groupBy("row", "doc_id", "n_tokens").agg(total(0), total(1)).drop("row")
