@@ -1,16 +1,16 @@
-"""Toxicity by compression distance: two zstandard dictionaries, one window per word.
+"""Toxicity by compression distance: two zstandard dictionaries, windows of words, calibrated thresholds.
 
-Training takes a bounded sample of labelled documents and cuts it. The first three quarters give the dictionaries. The
-ordinary one holds the most frequent words of ordinary documents. The toxic one holds, besides
-these, the words of toxic documents that start with a stem (or are a word) that toxic
-documents use in far more contexts than ordinary ones; the test is a likelihood ratio on distinct
-(word before, word) pairs, so that copies of one document count once. Both have the same layout, with
-zeros for what is missing, so that what is in both costs the same.
+Training takes a bounded sample of labelled documents. Its first three quarters give the dictionaries. Each kind of text is reduced to
+the stretches that are its own: substrings of six bytes with ``least_contexts`` or more different continuations in it, and relative to
+the amount of text at least ``ratio`` times as many as in the other kind (copies of one document count once). zstandard's trainer makes
+one dictionary of the toxic kind's stretches and one of the ordinary kind's. Both are followed by the same base, which the
+trainer makes of ordinary text without the toxic kind's stretches; so what is common costs the same under both.
 
-A window is one word between spaces, followed by a text that is in both dictionaries. (The compressor never
-looks for matches in the last bytes of its input, nor pays off its headers on a word alone.) The gain is the number of
-bytes that the toxic dictionary saves. The last quarter of the sample calibrates: for each length and
-gain a log-likelihood ratio of toxic and ordinary documents, then a logistic curve on a document's strongest windows.
+A text is cut into windows of six words, every three words. Each is compressed under both dictionaries; its gain is the number of bytes
+that the toxic one saves. (A common carrier ends every window: the compressor stores very short inputs as they are.) The last
+quarter of the sample calibrates: thresholds are the least gains that at most one in 200, 1,000 and 5,000 ordinary windows
+reach, and a logistic curve turns how often a text reaches them, and its highest gains, into a score. The curve is that of a sample
+of which ``toxic_share`` is toxic.
 
 Scores depend on the text and nothing else. Defined results: null and empty texts get the score of a text
 without windows; repeated rows get the same score; an empty table gives an empty result; a sample without toxic or without ordinary
@@ -22,8 +22,9 @@ from __future__ import annotations
 import hashlib
 import math
 import pickle
+import random
 from collections import Counter
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -34,24 +35,30 @@ from pyspark.sql import functions as F
 
 from .common import free_name, map_arrow, utf8, with_field
 
-STRIP = b".,;:!?*#$%&|\"'()<>[]"
-MOST_BYTES = 15  # lengths and gains above share a bin
-MEMO = 150_000
+LETTERS = bytes(c if c >= 128 or 97 <= c <= 122 else 32 for c in range(256))  # all else separates words
+LONGEST_WORD = 48  # longer ones are cut
+PIECE = 6  # bytes of a substring that may be a kind's own
+CONTEXT = 12  # bytes that tell its occurrences apart
 
 
 @dataclass(frozen=True)
 class Training:
-    """Bounds of the labelled sample (documents of each kind, bytes of each text used for training only when no longer) and of the dictionaries."""
+    """Bounds of the labelled sample (documents and bytes of each kind) and the shape of windows and dictionaries."""
 
     toxic_docs: int = 2000
     ordinary_docs: int = 4000
-    longest_text: int = 40_000
-    base_words: int = 1000
-    toxic_words: int = 3000
-    least_contexts: int = 4
-    least_ratio: float = 20.0
-    least_evidence: float = 30.0
-    level: int = 5
+    toxic_bytes: int = 8 << 20
+    ordinary_bytes: int = 16 << 20
+    window: int = 6
+    stride: int = 3
+    own_bytes: int = 8192
+    base_bytes: int = 65_536
+    base_pairs: int = 300_000
+    common_words: int = 1500
+    least_contexts: int = 6
+    ratio: float = 8.0
+    rates: tuple[float, ...] = (1 / 200, 1 / 1000, 1 / 5000)
+    toxic_share: float = 0.3  # what toxic texts count for in the logistic curve
 
 
 @dataclass
@@ -59,103 +66,158 @@ class Model:
     ordinary: bytes
     toxic: bytes
     carrier: bytes
-    level: int
+    window: int
+    stride: int
     prior: float
-    llr: np.ndarray
+    thresholds: tuple[int, ...]
     weights: np.ndarray
     key: str = field(default="")
 
     def __post_init__(self) -> None:
-        self.key = self.key or hashlib.md5(self.ordinary + self.toxic + self.llr.tobytes() + self.weights.tobytes()).hexdigest()
+        self.key = self.key or hashlib.md5(self.ordinary + self.toxic + repr((self.window, self.stride, self.prior, self.thresholds)).encode() + self.weights.tobytes()).hexdigest()
 
 
 def words_of(text: bytes) -> list[bytes]:
-    return text.decode(errors="replace").lower().encode().split()
+    words = text.decode(errors="replace").lower().encode().translate(LETTERS).split()
+    if max(map(len, words), default=0) > LONGEST_WORD:
+        words = [w[i : i + LONGEST_WORD] for w in words for i in range(0, len(w), LONGEST_WORD)]
+    return words
 
 
 class Windows:
-    """Gains and evidence of words under a model's dictionaries; remembers words it has seen."""
+    """Gains of a text's windows under a model's dictionaries, and the score they give."""
 
     def __init__(self, model: Model) -> None:
         self.model = model
-        size = len(model.toxic)
-        params = zstd.ZstdCompressionParameters.from_level(model.level, source_size=128, dict_size=size, min_match=4, write_content_size=False, write_dict_id=False)
+        params = zstd.ZstdCompressionParameters(window_log=18, hash_log=17, chain_log=18, search_log=6, min_match=4, target_length=64, strategy=zstd.STRATEGY_BTLAZY2, write_content_size=False, write_dict_id=False)
         self.compress = []
         for content in (model.ordinary, model.toxic):
             dictionary = zstd.ZstdCompressionDict(content, dict_type=zstd.DICT_TYPE_RAWCONTENT)
             dictionary.precompute_compress(compression_params=params)
             self.compress.append(zstd.ZstdCompressor(dict_data=dictionary, compression_params=params).compress)
-        self.memo: dict[bytes, float] = {}
-
-    def bin(self, word: bytes) -> tuple[int, int]:
-        core = word.strip(STRIP)
-        window = b" " + core + b" " + self.model.carrier
-        gain = len(self.compress[0](window)) - len(self.compress[1](window))
-        return min(len(core), MOST_BYTES), max(0, min(gain, MOST_BYTES))
-
-    def evidence(self, word: bytes) -> float:
-        found = self.memo.get(word)
-        if found is None:
-            if len(self.memo) >= MEMO:
-                self.memo.clear()
-            found = self.memo[word] = float(self.model.llr[self.bin(word)])
-        return found
-
-    def features(self, text: bytes) -> np.ndarray:
-        """1, evidence of the strongest window, of the next two, and of all that speak for toxic, per sqrt(word)."""
-        words = words_of(text)
-        strong = sorted((e for e in map(self.evidence, words) if e > 0), reverse=True)
-        return np.array([1.0, strong[0] if strong else 0.0, sum(strong[1:3]), sum(strong) / math.sqrt(len(words)) if words else 0.0])
+
+    def gains(self, text: bytes) -> np.ndarray:
+        words, m, out = words_of(text), self.model, []
+        if words:
+            ordinary, toxic = self.compress
+            tail = b" " + m.carrier
+            for start in range(0, max(1, len(words) - m.window + m.stride), m.stride):
+                window = b" " + b" ".join(words[start : start + m.window]) + tail
+                out.append(len(ordinary(window)) - len(toxic(window)))
+        return np.array(out, dtype=np.int64)
 
     def score(self, text: bytes) -> float:
         if not self.model.weights.any():
             return self.model.prior
-        z = float(self.features(text) @ self.model.weights)
+        z = float(features(self.gains(text), self.model.thresholds) @ self.model.weights)
         return 1 / (1 + math.exp(-max(-30.0, min(30.0, z))))
 
 
-def _segments(contexts: set[tuple[bytes, bytes]]) -> Counter:
-    """In how many contexts each stem and each whole word (with a space after it) stands."""
-    found: Counter = Counter()
-    for _, word in contexts:
-        core = word.strip(STRIP)
-        found[core + b" "] += 1
-        for k in range(3, min(len(core), 10) + 1):
-            found[core[:k]] += 1
-    return found
+def features(gains: np.ndarray, thresholds: tuple[int, ...]) -> np.ndarray:
+    """1, the highest gain and the sum of the highest four, and, per sqrt(window), how many windows reach each threshold and the sum of gains up to 8."""
+    n = len(gains)
+    if not n:
+        return np.array([1.0] + [0.0] * (len(thresholds) + 3))
+    highest, scale = np.sort(gains)[-4:], math.sqrt(n)
+    return np.array([1.0, highest[-1], highest.sum(), *((gains >= t).sum() / scale for t in thresholds), np.clip(gains, 0, 8).sum() / scale])
+
+
+def _joined(words: list[bytes]) -> bytes:
+    return b" " + b" ".join(words) + b" "
+
+
+def _hashes(text: bytes, size: int) -> np.ndarray:
+    """A 64-bit hash of each substring of this size."""
+    x = np.frombuffer(text, np.uint8).astype(np.uint64)
+    n = len(x) - size + 1
+    out = np.zeros(max(0, n), dtype=np.uint64)
+    for i in range(size if n > 0 else 0):
+        out = (out ^ x[i : i + n]) * np.uint64(0x9E3779B97F4A7C15)
+        out ^= out >> np.uint64(29)
+    return out
+
+
+def _pieces(text: bytes) -> np.ndarray:
+    return _hashes(text, PIECE) >> np.uint64(32)
 
 
-def _evidence(a: int, b: int, n1: int, n0: int) -> float:
-    """Likelihood-ratio statistic of a of n1 against b of n0."""
-    e, f = (a + b) * n1 / (n1 + n0), (a + b) * n0 / (n1 + n0)
-    return 2 * ((a * math.log(a / e) if a else 0) + (b * math.log(b / f) if b else 0))
+class Contexts:
+    """In how many different contexts each substring stands in texts of one kind."""
+
+    def __init__(self, texts: Iterable[bytes]) -> None:
+        found = []
+        for text in texts:
+            context = _hashes(text, CONTEXT) >> np.uint64(32)
+            found.append(_pieces(text)[: len(context)] << np.uint64(32) | context)
+        every = np.concatenate(found) if found else np.empty(0, np.uint64)
+        found.clear()
+        every.sort()
+        every = every[np.r_[True, every[1:] != every[:-1]]] if len(every) else every
+        self.size = max(1, len(every))
+        self.pieces, self.n = np.unique(every >> np.uint64(32), return_counts=True)
+
+    def of(self, pieces: np.ndarray) -> np.ndarray:
+        if not len(self.pieces):
+            return np.zeros(len(pieces))
+        at = np.minimum(np.searchsorted(self.pieces, pieces), len(self.pieces) - 1)
+        return np.where(self.pieces[at] == pieces, self.n[at], 0).astype(np.float64)
+
+
+def own_bytes(text: bytes, own: Contexts, other: Contexts, t: Training) -> np.ndarray:
+    """Which bytes of a text are in substrings that are its kind's own."""
+    pieces = _pieces(text)
+    a, b = own.of(pieces), other.of(pieces)
+    marks = np.zeros(len(text) + 1, dtype=np.int64)
+    at = np.flatnonzero((a >= t.least_contexts) & (a / own.size > t.ratio * (b + 0.5) / other.size))
+    marks[at] += 1
+    marks[at + PIECE] -= 1
+    return np.cumsum(marks)[:-1] > 0
+
+
+def stretches(texts: list[bytes], own: Contexts, other: Contexts, t: Training) -> list[bytes]:
+    """The stretches that are a kind's own, each once for what follows it."""
+    found = set()
+    for text in texts:
+        edges = np.flatnonzero(np.diff(np.r_[0, own_bytes(text, own, other, t).astype(np.int8), 0]))
+        found.update((text[a:b], text[b : b + PIECE]) for a, b in zip(edges[::2], edges[1::2], strict=True))
+    return [s for s, _ in sorted(found)]
+
+
+def trained(samples: list[bytes], size: int) -> bytes:
+    """A dictionary by zstandard's trainer; where samples are too few for it, the samples themselves."""
+    samples = list(samples)
+    random.Random(1).shuffle(samples)
+    try:
+        return zstd.train_dictionary(size, samples, k=16, d=6).as_bytes()
+    except zstd.ZstdError:
+        return b"".join(samples)[:size]
 
 
 def train_dictionaries(toxic: list[bytes], ordinary: list[bytes], t: Training) -> tuple[bytes, bytes, bytes]:
     """Contents of the ordinary and the toxic dictionary, and the carrier that ends both."""
-    contexts = []
-    for texts in (ordinary, toxic):
-        own: set[tuple[bytes, bytes]] = set()
-        for text in texts:
-            words = words_of(text)
-            own.update(zip([b"", *words], words, strict=False))
-        contexts.append(own)
-    n0, n1 = (max(1, len(x)) for x in contexts)
-    plain, marked = map(_segments, contexts)
-    ranked = sorted(((_evidence(a, plain[s], n1, n0), s) for s, a in marked.items() if a >= t.least_contexts and a / n1 > t.least_ratio * (plain[s] + 0.5) / n0), reverse=True)
-    stems: set[bytes] = set()
-    for evidence, s in ranked:
-        if evidence >= t.least_evidence and not any(s[:k] in stems for k in range(3, len(s) + 1)):
-            stems.add(s)
-    words: Counter = Counter()
-    for _, word in contexts[1]:
-        core = word.strip(STRIP)
-        if not plain[core + b" "] and any((core + b" ")[:k] in stems for k in range(3, len(core) + 2)):
-            words[core] += 1
-    common = [w for w, _ in sorted(Counter(w.strip(STRIP) for text in ordinary for w in set(words_of(text))).items(), key=lambda x: (-x[1], x[0]))[: t.base_words]]
-    own = [w for w, _ in sorted(words.items(), key=lambda x: (-x[1], x[0]))[: t.toxic_words]]
-    base, extra, carrier = (b" " + b" ".join(reversed(common)) + b" ", b" ".join(reversed(own)) + b" ", b" ".join(common[:12]) + b" the end of this")
-    return base + bytes(len(extra)) + carrier, base + extra + carrier, carrier
+    texts = [[_joined(w) for w in map(words_of, kind) if w] for kind in (ordinary, toxic)]
+    plain, marked = (Contexts(kind) for kind in texts)
+    own = [trained(stretches(texts[0], plain, marked, t), t.own_bytes), trained(stretches(texts[1], marked, plain, t), t.own_bytes)]
+    pairs: set[tuple[bytes, bytes]] = set()
+    for text in texts[0]:
+        if len(pairs) >= t.base_pairs:
+            break
+        space = np.frombuffer(text, np.uint8) == 32
+        taken = np.bincount(np.cumsum(space), weights=own_bytes(text, marked, plain, t) & ~space)
+        words = text.split()
+        pairs.update((a, b) for a, b, x, y in zip(words, words[1:], taken[1:], taken[2:], strict=False) if not x and not y)
+    base_text = sorted(pairs)
+    common = [w for w, _ in sorted(Counter(w for text in texts[0] for w in set(text.split())).items(), key=lambda x: (-x[1], x[0]))[: t.common_words]]
+    carrier = b" ".join(common[:14])
+    base = trained([_joined(list(p)) for p in base_text], t.base_bytes) + b" " + b" ".join(reversed(common)) + b" " + carrier
+    width = max(map(len, own))
+    return own[0].rjust(width, b"\0") + base, own[1].rjust(width, b"\0") + base, carrier
+
+
+def thresholds(gains: np.ndarray, rates: tuple[float, ...]) -> tuple[int, ...]:
+    """For each rate the least gain, 1 at least, that at most this share of gains reach."""
+    ordered = np.sort(gains)[::-1]
+    return tuple(max(1, int(ordered[int(len(gains) * r)]) + 1) if len(gains) else 1 for r in rates)
 
 
 def fit(sample: list[tuple[bytes, int]], training: Training | None = None, prior: float = 0.1) -> Model:
@@ -163,26 +225,17 @@ def fit(sample: list[tuple[bytes, int]], training: Training | None = None, prior
     t = training or Training()
     kinds = [[x for x, y in sample if y == k] for k in (0, 1)]
     first, last = ([k[: (3 * len(k) + 3) // 4] for k in kinds], [k[(3 * len(k) + 3) // 4 :] for k in kinds])
-    model = Model(b" ", b" ", b" ", t.level, prior, np.zeros((MOST_BYTES + 1, MOST_BYTES + 1)), np.zeros(4))
     if not all(map(len, last)):
-        return model
-    model = Model(*train_dictionaries(first[1], first[0], t), t.level, prior, model.llr, model.weights)
-    # Documents of each kind that have a window of a length and gain; a bin with one document says nothing.
-    windows, bins, seen = Windows(model), {}, np.zeros((2, MOST_BYTES + 1, MOST_BYTES + 1))
-    for kind in (0, 1):
-        for text in last[kind]:
-            words = set(words_of(text))
-            bins.update((w, windows.bin(w)) for w in words if w not in bins)
-            for b in {bins[w] for w in words}:
-                seen[kind][b] += 1
+        return Model(b" ", b" ", b" ", t.window, t.stride, prior, (1,) * len(t.rates), np.zeros(len(t.rates) + 4))
+    model = Model(*train_dictionaries(first[1], first[0], t), t.window, t.stride, prior, (1,) * len(t.rates), np.zeros(len(t.rates) + 4))
+    windows = Windows(model)
+    gains = [[windows.gains(text) for text in kind] for kind in last]
+    cuts = thresholds(np.concatenate(gains[0]), t.rates)
+    x = np.array([features(g, cuts) for kind in gains for g in kind])
     n0, n1 = map(len, last)
-    llr = np.log((seen[1] + 0.5) / (n1 + 1) * (n0 + 1) / (seen[0] + 0.5)) * (seen.sum(axis=0) >= 2)
-    llr[:, 0] = 0
-    windows = Windows(Model(model.ordinary, model.toxic, model.carrier, t.level, prior, llr, model.weights))
-    x = np.array([windows.features(text) for kind in (0, 1) for text in last[kind]])
     y = np.repeat([0.0, 1.0], [n0, n1])
-    weights = logistic(x, y, np.where(y == 1, prior / n1, (1 - prior) / n0) * len(y))
-    return Model(model.ordinary, model.toxic, model.carrier, t.level, prior, llr, weights)
+    weights = logistic(x, y, np.where(y == 1, t.toxic_share / n1, (1 - t.toxic_share) / n0) * len(y))
+    return Model(model.ordinary, model.toxic, model.carrier, t.window, t.stride, prior, cuts, weights)
 
 
 def logistic(x: np.ndarray, y: np.ndarray, weight: np.ndarray, ridge: float = 0.1, rounds: int = 60) -> np.ndarray:
@@ -204,7 +257,11 @@ def held_out(doc_id: Column) -> Column:
 
 
 def learn(docs: DataFrame, labels: DataFrame, training: Training | None = None) -> Model:
-    """Fit on a bounded sample of labelled rows, taken in the order of a hash of their id; only its ids are broadcast."""
+    """Fit on a bounded sample of labelled rows, taken in the order of a hash of their id; only its ids are broadcast.
+
+    The sample is bounded by documents and, once their lengths are known, by bytes: a text that does not fit into
+    what is left of its kind's bytes is passed over, whatever its length.
+    """
     t = training or Training()
     usable = labels.where("doc_id IS NOT NULL AND toxic IN (0, 1)").where(~held_out(F.col("doc_id"))).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     counts = {int(r["toxic"]): r["n"] for r in usable.groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
@@ -212,10 +269,20 @@ def learn(docs: DataFrame, labels: DataFrame, training: Training | None = None)
     order = F.xxhash64("doc_id")
     part = lambda kind, most: usable.where(F.col("toxic") == kind).orderBy(order, "doc_id").limit(most)
     chosen = part(1, t.toxic_docs).union(part(0, t.ordinary_docs)).withColumnRenamed("doc_id", "chosen_id")
-    slim = docs.select(F.col("doc_id"), utf8("text").alias("t")).where(F.octet_length("t") <= t.longest_text)
-    rows = slim.join(F.broadcast(chosen), F.col("doc_id") == F.col("chosen_id")).select("doc_id", "t", "toxic").collect()
-    rows.sort(key=lambda r: (hashlib.md5(str(r["doc_id"]).encode()).digest(), bytes(r["t"])))
-    return fit([(bytes(r["t"]), int(r["toxic"])) for r in rows], t, prior)
+    rows = docs.select("doc_id", utf8("text").alias("t")).join(F.broadcast(chosen), F.col("doc_id") == F.col("chosen_id"))
+    small = rows.select("doc_id", "toxic", F.octet_length("t").alias("n")).collect()  # at most one for each chosen id
+    small.sort(key=lambda r: (hashlib.md5(str(r["doc_id"]).encode()).digest(), r["n"]))
+    left, taken = {0: t.ordinary_bytes, 1: t.toxic_bytes}, []
+    for r in small:
+        if r["n"] <= left[r["toxic"]]:
+            left[r["toxic"]] -= r["n"]
+            taken.append(r["doc_id"])
+    if not taken:
+        return fit([], t, prior)
+    ids = docs.sparkSession.createDataFrame([(i,) for i in sorted(set(taken))], "taken_id long")
+    texts = rows.join(F.broadcast(ids), F.col("doc_id") == F.col("taken_id")).select("doc_id", "t", "toxic").toArrow().to_pylist()
+    texts.sort(key=lambda r: (hashlib.md5(str(r["doc_id"]).encode()).digest(), r["t"]))
+    return fit([(r["t"], int(r["toxic"])) for r in texts], t, prior)
 
 
 _ready: dict[str, Windows] = {}
