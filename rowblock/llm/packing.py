@@ -1,7 +1,7 @@
 """Packing documents into training sequences: first-fit decreasing on a tournament tree.
 
 A document's ids are cut into pieces of one whole sequence each and a remainder. Remainders are dealt
-to randomised groups (by a hash of the id) of about ``GROUP_DOCS`` documents, and every group is
+to randomised groups (by a hash of id and text, and one group further for each equal row of a task) of about ``GROUP_DOCS`` documents, and every group is
 packed by itself: remainders in order of decreasing length go to the first open sequence with
 room, found by walking down a tree whose nodes hold the largest room below them. Room that is
 left is filled by cutting remainders of the emptiest sequences, and the last open sequence of a group is
@@ -132,9 +132,12 @@ def _encoder(json_path: str, ranks_path: str | None):
 def token_pieces(docs: DataFrame, groups: int, json_path: str, ranks_path: str | None, capacity: int, end_id: int, id_col: str, text_col: str) -> DataFrame:
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encode = _encoder(json_path, ranks_path)
+        met: dict[int, int] = {}  # rows of this task by id and text; equal ones go to groups of their own, in whatever order they come
         for batch in batches:
             rows = []
-            for doc_id, group, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), strict=True):
+            for doc_id, content, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), strict=True):
+                met[content] = met.get(content, -1) + 1
+                group = (content + met[content]) % groups
                 ids = np.array([*encode(text.as_py()), end_id], dtype="<u4")
                 for start in range(0, len(ids), capacity):
                     part = ids[start : start + capacity]
@@ -147,8 +150,8 @@ def token_pieces(docs: DataFrame, groups: int, json_path: str, ranks_path: str |
             if rows:
                 yield _columns(rows)
 
-    group = F.pmod(F.xxhash64(F.lit(SEED), F.col(id_col)), F.lit(groups))
-    return map_arrow(docs.select(F.col(id_col).cast("long").alias("doc_id"), group.alias("grp"), text_or_empty(text_col).alias("text")), kernel, "grp long, doc_id long, start long, length long, ids_crc32 long, doc_tokens long, ids binary")
+    content = F.xxhash64(F.lit(SEED), F.col(id_col), text_or_empty(text_col))
+    return map_arrow(docs.select(F.col(id_col).cast("long").alias("doc_id"), content.alias("content"), text_or_empty(text_col).alias("text")), kernel, "grp long, doc_id long, start long, length long, ids_crc32 long, doc_tokens long, ids binary")
 
 
 def _columns(rows: list[tuple]) -> pa.RecordBatch:
