@@ -142,22 +142,29 @@ def _reputation_sql(rules: tuple, c: url_filters.Reputation) -> str:
 
 
 def _line_dedup_sql(c: line_dedup.Chunking) -> str:
-    """Chunks by windows over lines, their repeats by complete text, and what is left."""
+    """Chunks by rolling hashes over lines, windows of two lines, the repeats of both by complete text, and what is left."""
     return rf"""
         WITH lines AS (
             SELECT doc_id, i, line, ('0x' || left(md5(line), 8))::BIGINT AS h
             FROM (SELECT doc_id, unnest(l) AS line, generate_subscripts(l, 1) - 1 AS i FROM (SELECT doc_id, string_split(coalesce(text, ''), chr(10)) AS l FROM documents))),
         rolled AS (
-            SELECT *, lag(h, 2) OVER w * {c.base} + lag(h, 1) OVER w AS r FROM lines WINDOW w AS (PARTITION BY doc_id ORDER BY i)),
+            SELECT *, lag(h, 2) OVER w * {c.base} + lag(h, 1) OVER w AS r, line || chr(10) || lead(line) OVER w AS pair FROM lines WINDOW w AS (PARTITION BY doc_id ORDER BY i)),
         numbered AS (
-            SELECT *, sum(CASE WHEN i >= 2 AND r % {c.divisor} = 0 THEN 1 ELSE 0 END) OVER (PARTITION BY doc_id ORDER BY i) AS k FROM rolled),
+            SELECT *, sum(CASE WHEN i >= 2 AND r % {c.modulus} < {c.cut} THEN 1 ELSE 0 END) OVER (PARTITION BY doc_id ORDER BY i) AS k FROM rolled),
         chunks AS (
-            SELECT doc_id, k, count(*) AS n, string_agg(line, chr(10) ORDER BY i) AS t FROM numbered GROUP BY doc_id, k),
+            SELECT doc_id, k, min(i) AS first, count(*) AS n, string_agg(line, chr(10) ORDER BY i) AS t FROM numbered GROUP BY doc_id, k),
         judged AS (
-            SELECT *, n >= {c.least_lines} AND length(t) >= {c.least_chars} AND row_number() OVER (PARTITION BY t, n >= {c.least_lines} ORDER BY doc_id, k) > 1 AS gone FROM chunks)
-        SELECT doc_id, sum(n)::BIGINT AS n_lines, count(*)::BIGINT AS n_chunks, count(*) FILTER (gone)::BIGINT AS removed_chunks, coalesce(sum(n) FILTER (gone), 0)::BIGINT AS removed_lines,
-               length(coalesce(string_agg(t, chr(10) ORDER BY k) FILTER (NOT gone), ''))::BIGINT AS kept_chars, md5(coalesce(string_agg(t, chr(10) ORDER BY k) FILTER (NOT gone), '')) AS text_md5
-        FROM judged GROUP BY doc_id
+            SELECT *, n >= 2 AND replace(t, chr(10), '') <> '' AND row_number() OVER (PARTITION BY t, n >= 2 ORDER BY doc_id, first) > 1 AS gone FROM chunks),
+        pairs AS (
+            SELECT doc_id, i FROM (SELECT doc_id, i, row_number() OVER (PARTITION BY pair ORDER BY doc_id, i) AS o FROM rolled WHERE pair <> chr(10)) WHERE o > 1),
+        kept AS (
+            SELECT numbered.*, gone FROM numbered JOIN judged USING (doc_id, k)
+            WHERE NOT gone AND (doc_id, i) NOT IN (SELECT (doc_id, i) FROM pairs) AND (doc_id, i - 1) NOT IN (SELECT (doc_id, i) FROM pairs)),
+        texts AS (
+            SELECT doc_id, count(*) AS n, string_agg(line, chr(10) ORDER BY i) AS t FROM kept GROUP BY doc_id)
+        SELECT doc_id, sum(judged.n)::BIGINT AS n_lines, count(*)::BIGINT AS n_chunks, count(*) FILTER (gone)::BIGINT AS removed_chunks, (sum(judged.n) - coalesce(any_value(texts.n), 0))::BIGINT AS removed_lines,
+               length(coalesce(any_value(texts.t), ''))::BIGINT AS kept_chars, md5(coalesce(any_value(texts.t), '')) AS text_md5
+        FROM judged LEFT JOIN texts USING (doc_id) GROUP BY doc_id
     """
 
 
