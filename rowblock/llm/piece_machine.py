@@ -20,6 +20,8 @@ from itertools import chain
 
 MARK = "▁"
 MOST_STATES = 300_000
+LOOK = 2048  # characters between two looks at the number of states
+CHUNK = 8192
 MEMO = 400_000
 
 
@@ -78,6 +80,16 @@ class State(dict):
     """Transitions by character: (next state, change of the count, id of the last piece or -1, its length)."""
 
     __slots__ = ("machine", "tail", "alive")
+    __hash__ = object.__hash__
+
+    def __eq__(self, other: object) -> bool:
+        return self is other
+
+    def __ne__(self, other: object) -> bool:
+        return self is not other
+
+    def __repr__(self) -> str:
+        return f"State({self.tail!r}, {self.alive!r})"
 
     def __init__(self, machine: Machine, tail: str, alive: tuple) -> None:
         super().__init__()
@@ -112,6 +124,9 @@ class Machine:
         v = self.v
         if char not in v.pieces:
             return self.start, len(char.encode("utf-8", "surrogatepass")), -1, 1
+        before = state.alive[-1][1]
+        if char == MARK and before and before[-1] != MARK:
+            return self.start[char]  # nothing reaches over the border
         text = state.tail + char
         for back, last, count in state.alive:  # farthest first
             piece = text[len(text) - back - 1 :]
@@ -124,32 +139,40 @@ class Machine:
         tail = text[len(text) - alive[0][0] :] if alive[0][0] else ""
         return self.state(tail, alive), delta, v.pieces[piece][0], len(piece)
 
+    def bounded(self, state: State) -> State:
+        """The same state, in a new table where the old one has too many; states that nobody holds are given back.
+
+        Between two looks a run adds at most LOOK states, or two for each character of a chunk's head.
+        """
+        if len(self.states) <= MOST_STATES:
+            return state
+        self.reset()
+        return self.state(state.tail, state.alive)
+
+    def run(self, state: State, given: str) -> tuple[State, int]:
+        """The state after an escaped text, and how many pieces it adds."""
+        total = 0
+        for at in range(0, len(given), LOOK):
+            state = self.bounded(state)
+            for char in given[at : at + LOOK]:
+                state, delta, _, _ = state[char]
+                total += delta
+        return state, total
+
     def count_segment(self, segment: str) -> int:
         """Pieces of an escaped segment, that is one that begins where the machine starts."""
-        if len(self.states) > MOST_STATES:
-            self.reset()
-        state, total = self.start, 0
-        for char in segment:
-            state, delta, _, _ = state[char]
-            total += delta
-        return total
+        return self.run(self.start, segment)[1]
 
     def ids_of_segment(self, segment: str) -> list[int]:
         encoder = StreamingEncoder(self)
         return [*encoder.feed(segment), *encoder.finish()]
 
-    def count(self, text: str, chunk: int = 65_536) -> int:
-        """Pieces of a text. Chunks of a long text become state maps, composed pairwise."""
+    def count(self, text: str, chunk: int = CHUNK) -> int:
+        """Pieces of a text: the state maps of its chunks, each made without the others, composed by a tree and applied to the start."""
         if not text:
             return 0
         given = " " + text.replace(MARK, " ")
-        if len(given) <= chunk:
-            return self.count_plain(given)
-        maps = [self.chunk_map(given[i : i + chunk]) for i in range(0, len(given), chunk)]
-        while len(maps) > 1:
-            maps = [self.compose(*maps[i : i + 2]) if i + 1 < len(maps) else maps[i] for i in range(0, len(maps), 2)]
-        head, inner, tail = maps[0]
-        return self.count_plain(head) + inner + self.count_plain(tail)
+        return scan([ChunkMap(self, given[i : i + chunk]) for i in range(0, len(given), chunk)])(self.start)[1]
 
     def count_plain(self, given: str) -> int:
         """Pieces of a text with spaces for marks that begins at a segment's start."""
@@ -159,32 +182,6 @@ class Machine:
             return sum(map(self.counts.__getitem__, given[1:].split(" ")))
         return sum(self.counts[s[1:].replace(" ", MARK)] if s[0] == " " else self.count_segment(s) for s in segments(given))
 
-    def chunk_map(self, given: str) -> tuple[str, int, str]:
-        """(head, count, tail): what the part before the first inner segment start adds depends on the state before it, the rest does not.
-
-        A chunk without an inner segment start is all head.
-        """
-        starts = re.search("(?<=[^ ]) ", given)
-        if not starts:
-            return given, 0, ""
-        first, last = starts.start(), max(m.start() for m in re.finditer("(?<=[^ ]) ", given))
-        return given[:first], self.count_plain(given[first:last]), given[last:]
-
-    def compose(self, a: tuple[str, int, str], b: tuple[str, int, str]) -> tuple[str, int, str]:
-        if not a[2]:  # a is one open segment
-            head, inner, tail = self.chunk_map(a[0] + b[0])
-            if not tail:
-                return head, b[1], b[2]
-            if not b[2]:
-                return head, inner, tail
-            return head, inner + self.count_plain(tail) + b[1], b[2]
-        if not b[2]:  # b is one open segment
-            head, inner, tail = self.chunk_map(a[2] + b[0])
-            if not tail:
-                return a[0], a[1], head
-            return a[0], a[1] + self.count_plain(head) + inner, tail
-        return a[0], a[1] + self.count_plain(a[2] + b[0]) + b[1], b[2]
-
     def encode(self, text: str) -> list[int]:
         if not text:
             return []
@@ -199,6 +196,67 @@ class Machine:
         return text[1:] if text.startswith(" ") else text
 
 
+class ChunkMap:
+    """From each state before a chunk to the state after it and the number of pieces in between.
+
+    From the first segment that starts within the chunk on, nothing depends on the state before; the pieces from there are counted
+    once, without knowing it. The part before, the head, is run once from the start state; from another state it is run
+    until both runs stand in one state, which takes no longer than the pieces reach, and what is left is known.
+    """
+
+    def __init__(self, machine: Machine, given: str) -> None:
+        self.machine = machine
+        inner = re.search("(?<=[^ ]) ", given)
+        self.head = (given[: inner.start()] if inner else given).replace(" ", MARK)
+        self.rest: tuple[State, int] | None = None
+        if inner:
+            last = given.rindex(" ")
+            while given[last - 1] == " ":  # the last segment starts at the first of its spaces
+                last -= 1
+            closed = machine.count_plain(given[inner.start() : last])
+            state, n = machine.run(machine.start, given[last:].replace(" ", MARK))
+            self.rest = state, closed + n
+        self.path: list[tuple[State, int]] | None = None
+
+    def __call__(self, state: State) -> tuple[State, int]:
+        after, n = self.through_head(state)
+        return (self.rest[0], n + self.rest[1]) if self.rest else (after, n)
+
+    def through_head(self, state: State) -> tuple[State, int]:
+        machine = self.machine
+        if state is machine.start or not self.head:
+            return machine.run(state, self.head)
+        if self.path is None:
+            self.path, now, total = [], machine.start, 0
+            for char in self.head:
+                now, delta, _, _ = now[char]
+                total += delta
+                self.path.append((now, total))
+        total = 0
+        for char, (met, n) in zip(self.head, self.path, strict=True):
+            state, delta, _, _ = state[char]
+            total += delta
+            if state is met:
+                return self.path[-1][0], total + self.path[-1][1] - n
+        return state, total
+
+
+def scan(maps: list):
+    """The composition of maps in their order, as a tree: every pair on a level is independent of the others."""
+    while len(maps) > 1:
+        maps = [_after(*maps[i : i + 2]) if i + 1 < len(maps) else maps[i] for i in range(0, len(maps), 2)]
+    return maps[0]
+
+
+def _after(first, second):
+    def both(state: State) -> tuple[State, int]:
+        middle, m = first(state)
+        end, n = second(middle)
+        return end, m + n
+
+    return both
+
+
 class _Memo(dict):
     """Results of segments, at most MEMO of them, and only of those that are short."""
 
@@ -234,7 +292,9 @@ class StreamingEncoder:
 
     def feed(self, text: str) -> list[int]:
         out: list[int] = []
-        for char in text:
+        for k, char in enumerate(text):
+            if k % LOOK == 0:
+                self.state = self.machine.bounded(self.state)
             self.state, _, piece, length = self.state[char]
             self.back.append((piece, length))
             self.chars.append(char)
