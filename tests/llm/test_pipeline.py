@@ -7,8 +7,8 @@ import pytest
 
 import corpus_pipeline
 from rowblock.llm import queries
-from rowblock.llm import simhash
-from tests.llm.test_operators import brute_quality, classes, low
+from tests.llm.test_near_stage import brute_heads
+from tests.llm.test_operators import brute_quality, low
 
 
 def test_stages_against_brute_force(spark, sf, tmp_path):
@@ -29,12 +29,8 @@ def test_stages_against_brute_force(spark, sf, tmp_path):
                 last[low(r["text"] or "")] = max(r["doc_id"], last.get(low(r["text"] or ""), -1))
             assert ids == set(last.values())
         if name == "near_dedup":
-            fps = [simhash.fingerprint((r["text"] or "").encode()) for r in kept]
-            root = classes(len(fps), lambda a, b: (fps[a] ^ fps[b]).bit_count() <= 3)
-            least = {}
-            for r, c in zip(kept, root, strict=True):
-                least[c] = min(r["doc_id"], least.get(c, 10**9))
-            assert ids == set(least.values())
+            rows = sorted(kept, key=lambda r: r["doc_id"])
+            assert ids == {rows[i]["doc_id"] for i in brute_heads([r["text"] or "" for r in rows])}
         kept = [r for r in kept if r["doc_id"] in ids]
     packed = corpus_pipeline.STAGES[-1][1](spark, docs, sf).collect()
     assert {r["doc_id"] for r in packed} == {r["doc_id"] for r in kept}
