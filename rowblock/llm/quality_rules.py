@@ -159,10 +159,12 @@ def _with_labels(small: DataFrame, labels: DataFrame) -> DataFrame:
 
 def verdict(counted: DataFrame, own: dict[str, str], cutoffs: DataFrame, control: RiskControl, lang_col: str = "lang", kept_col: str = "kept") -> DataFrame:
     """counted with base_failed and kept; the cutoffs have a bounded number of rows, so they are broadcast."""
-    joined = counted.join(F.broadcast(cutoffs), stratum(control, F.col(lang_col)) == F.col("cut_stratum"), "left")
+    free = {c: free_name(counted, c) for c in cutoffs.columns}
+    cutoffs = cutoffs.select(*(F.col(c).alias(x) for c, x in free.items()))
+    joined = counted.join(F.broadcast(cutoffs), stratum(control, F.col(lang_col)) == F.col(free["cut_stratum"]), "left")
     over = F.lit(False)
     for rule, value in rates(own).items():
-        over = over | F.coalesce(value > F.col(f"cut_{rule}"), F.lit(False))
+        over = over | F.coalesce(value > F.col(free[f"cut_{rule}"]), F.lit(False))
     failed = free_name(counted, "base_failed")
     return joined.withColumn(failed, base_failed(own)).withColumn(kept_col, ~(F.col(failed) | over)).drop(*cutoffs.columns)
 
