@@ -120,6 +120,7 @@ def _reputation_sql(rules: tuple, c: url_filters.Reputation) -> str:
     fits = lambda own, start: f"(host = '{own}' OR ends_with(host, '.{own}')) AND starts_with(path, '{start}')"
     rule = "CASE " + " ".join(f"WHEN {fits(o, s)} THEN '{o}{s}'" for o, s, _ in by_length) + " END"
     says = "CASE " + " ".join(f"WHEN {fits(o, s)} THEN '{v}'" for o, s, v in by_length) + " END"
+    two = ", ".join(f"'{x}'" for x in c.suffixes)
     strength = lambda t: f"(SELECT 1 / greatest({c.least_rho}, least({c.most_rho}, coalesce(CASE WHEN sum(n) / count(*) > 1 THEN (sum(n * (bad / n - prior) ** 2) / sum(n * prior * (1 - prior)) - count(*) / sum(n)) / (1 - count(*) / sum(n)) END, {c.most_rho}))) - 1 FROM {t} WHERE n > 0)"
     return rf"""
         WITH split AS (
@@ -127,17 +128,21 @@ def _reputation_sql(rules: tuple, c: url_filters.Reputation) -> str:
                    regexp_extract(coalesce(url, ''), '{url_filters.URL}', 2) AS path FROM pages),
         outcomes AS (
             SELECT doc_id AS page_id, (coalesce(quality = 0, false) OR coalesce(toxic = 1, false))::DOUBLE AS bad FROM labels WHERE quality IS NOT NULL OR toxic IS NOT NULL),
+        sites AS (
+            SELECT *, string_split(site, '.') AS l, regexp_matches(site, '{url_filters.ADDRESS}') AS ip, array_to_string(string_split(site, '.')[-2:], '.') IN ({two}) AS two
+            FROM (SELECT *, regexp_replace(host, '^.*@|:[0-9]*$', '', 'g') AS site FROM split)),
         hosts AS (
-            SELECT host, array_to_string(string_split(host, '.')[-2:], '.') AS domain, string_split(host, '.')[-1] AS suffix, count(bad)::DOUBLE AS n, coalesce(sum(bad), 0)::DOUBLE AS bad
-            FROM split LEFT JOIN outcomes USING (page_id) GROUP BY ALL),
+            SELECT site, CASE WHEN ip THEN site WHEN two THEN array_to_string(l[-3:], '.') ELSE array_to_string(l[-2:], '.') END AS domain,
+                   CASE WHEN ip THEN site WHEN two THEN array_to_string(l[-2:], '.') ELSE l[-1] END AS suffix, count(bad)::DOUBLE AS n, coalesce(sum(bad), 0)::DOUBLE AS bad
+            FROM sites LEFT JOIN outcomes USING (page_id) GROUP BY ALL),
         s0 AS (SELECT suffix, sum(n) AS n, sum(bad) AS bad, (SELECT greatest(1e-6, least(1 - 1e-6, coalesce(sum(bad) / nullif(sum(n), 0), {c.rate_without_labels}))) FROM hosts) AS prior FROM hosts GROUP BY suffix),
         s1 AS (SELECT suffix, (bad + k * prior) / (n + k) AS prior FROM (SELECT *, {strength("s0")} AS k FROM s0)),
         d0 AS (SELECT domain, suffix, n, bad, prior FROM (SELECT domain, suffix, sum(n) AS n, sum(bad) AS bad FROM hosts GROUP BY ALL) JOIN s1 USING (suffix)),
-        d1 AS (SELECT domain, (bad + k * prior) / (n + k) AS prior FROM (SELECT *, {strength("d0")} AS k FROM d0)),
-        h0 AS (SELECT host, n, bad, prior FROM hosts JOIN d1 USING (domain)),
-        h1 AS (SELECT host, n + k + 1 AS m, (bad + k * prior) / (n + k) AS mean FROM (SELECT *, {strength("h0")} AS k FROM h0))
-        SELECT page_id, host, path, {rule} AS rule, coalesce({says}, CASE WHEN mean - {c.z} * sqrt(mean * (1 - mean) / m) > {c.limit} THEN 'block' ELSE 'allow' END) AS verdict
-        FROM split JOIN h1 USING (host)
+        d1 AS (SELECT domain, suffix, (bad + k * prior) / (n + k) AS prior FROM (SELECT *, {strength("d0")} AS k FROM d0)),
+        h0 AS (SELECT site, n, bad, prior FROM hosts JOIN d1 USING (domain, suffix)),
+        h1 AS (SELECT site, n + k + 1 AS m, (bad + k * prior) / (n + k) AS mean FROM (SELECT *, {strength("h0")} AS k FROM h0))
+        SELECT page_id, host, path, {rule} AS rule, coalesce({says}, CASE WHEN site <> '' AND mean - {c.z} * sqrt(mean * (1 - mean) / m) > {c.limit} THEN 'block' ELSE 'allow' END) AS verdict
+        FROM sites JOIN h1 USING (site)
     """
 
 
