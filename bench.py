@@ -29,7 +29,7 @@ def main() -> None:
     os.environ.setdefault("OMP_NUM_THREADS", "1")
     os.environ.setdefault("OPENBLAS_NUM_THREADS", "1")
     conf = {"spark.sql.shuffle.partitions": str(cpus), "spark.driver.memory": "8g", "spark.ui.enabled": "false", "spark.ui.showConsoleProgress": "false", "spark.sql.session.timeZone": "UTC"}
-    spark = SparkSession.builder.master(f"local[{cpus}]").config(map=conf).getOrCreate()
+    spark = SparkSession.builder.master(f"local[{cpus},8]").config(map=conf).getOrCreate()
     spark.sparkContext.setLogLevel("ERROR")
     queries: dict[str, float] = {}
     facts: dict[str, object] = {}
@@ -67,6 +67,10 @@ def main() -> None:
             g.to_numpy(g.gram(nm, strategy), n)
             queries[f"gram_{strategy}_{n}"] = round(time.perf_counter() - began, 3)
         stage.release()
+    made = fixtures.cheb(spark, sf_dir, 10)
+    for p, seconds, overhead, _ in ex.fault_sweep(NarrowMatrix(made.df.repartition(4 * cpus), made.keys, made.cols, None, 10)):
+        queries[f"direct_faults_{p:g}"] = round(seconds, 3)
+        facts[f"fault_overhead_{p:g}"] = round(overhead, 3)
     print(json.dumps({"metric": "sum of all queries", "value": round(sum(queries.values()), 3), "unit": "sec", "queries": queries, "facts": facts, "sf": sf_dir.rpartition("/sf")[2], "cpus": cpus}))
     spark.stop()
 

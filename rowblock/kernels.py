@@ -47,7 +47,7 @@ def cholesky_upper(gram: np.ndarray) -> np.ndarray:
 
 def check_invertible(r: np.ndarray) -> None:
     d = np.abs(np.diagonal(r))
-    if len(d) < r.shape[1] or not len(d) or d.min() <= r.shape[1] * EPS * d.max() * 1e-3:
+    if len(d) < r.shape[1] or not len(d) or d.min() <= r.shape[1] * EPS * d.max():
         raise RankDeficient(f"diagonal of R from {d.min() if len(d) else 0:.3g} to {d.max() if len(d) else 0:.3g}")
 
 

@@ -9,6 +9,7 @@ and multiplies. Q is orthogonal to working accuracy whatever the conditioning of
 
 from __future__ import annotations
 
+import time
 from collections.abc import Iterator
 
 import numpy as np
@@ -25,6 +26,7 @@ from ..staging import Stage
 
 STACK_BYTES = 64 << 20
 BROADCAST_BYTES = 8 << 20
+MOST_RANGES = 64
 ROWS_OUT = 20_000
 
 
@@ -197,6 +199,20 @@ def direct_apply(stage_table: DataFrame, slices: DataFrame, n: int, how: str = "
     return both.select("keys", "q", "r_rows", "q2").mapInArrow(kernel, schema)
 
 
+def apply_by_ranges(stage_table: DataFrame, slices: DataFrame, n: int, size: int, stage: Stage, fold: np.ndarray | None = None) -> DataFrame:
+    """direct_apply in ranges of block ids, each with its own slices broadcast: no Q moves, and a branch reads the files' parts of its range only."""
+    kept = stage.write(slices, "slices_by_range")
+    parts = -(-size // BROADCAST_BYTES)
+    cuts = sorted({int(c) for c in kept.approxQuantile("block_id", [k / parts for k in range(1, parts)], 0.0)})
+    edges = [None, *cuts, None]
+    out = None
+    for low, high in zip(edges, edges[1:], strict=False):
+        within = lambda df: df.where((F.lit(True) if low is None else F.col("block_id") > low) & (F.lit(True) if high is None else F.col("block_id") <= high))  # noqa: B023, E731
+        branch = direct_apply(within(stage_table), within(kept), n, "broadcast", fold)
+        out = branch if out is None else out.unionByName(branch)
+    return out
+
+
 def slice_traffic(blocks: int, n: int) -> int:
     """Bytes when every task gets all slices."""
     return 8 * blocks * blocks * n * n
@@ -207,20 +223,22 @@ def gather_bytes(blocks: int, n: int) -> int:
     return 8 * blocks * n * n
 
 
-def direct(nm: NarrowMatrix, stage: Stage, n_blocks: int | None = None, block_rows: int | None = None, combine: str = "auto", fan_in: int | None = None, deliver: str = "auto", want_q: bool = True, replay: bool = False, buckets: int | None = None):
+def direct(nm: NarrowMatrix, stage: Stage, n_blocks: int | None = None, block_rows: int | None = None, combine: str = "auto", fan_in: int | None = None, deliver: str = "auto", want_q: bool = True, replay: bool = False, buckets: int | None = None, seconds: dict[str, float] | None = None):
     """(q, r): q is a lazy frame over the stage table (None if not wanted).
 
     combine: driver, task, recursive, or auto (recursive when the stack exceeds STACK_BYTES). deliver: broadcast (behind
-    a check of the slices' size), join, or auto. With buckets, blocks and slices are tables bucketed by block, whose join moves neither:
+    a check of the slices' size), ranges (several broadcasts, each within that size, for a range of blocks), join, or auto (the first of these that fits). With buckets, blocks and slices are tables bucketed by block, whose join moves neither:
 the way for very many blocks, as a block is as large as its part of A. With replay the local Qs aren't written: step 3 factors the blocks again.
     """
-    n = nm.n
+    n, began = nm.n, time.perf_counter()
     if replay and not n_blocks:
         raise FactorizationError("blocks can be made again only if their number is given")
     local = direct_local(nm, n_blocks, block_rows)
     kept = local.drop("q", "keys") if replay else local
     table = stage.write_bucketed(kept, "blocks", buckets, "block_id") if buckets else stage.write(kept, "blocks")
     rs, count = table.select("block_id", "r"), table.count()
+    if seconds is not None:
+        seconds["local factors"], began = time.perf_counter() - began, time.perf_counter()
     size = gather_bytes(count, n)
     if not count:
         raise TooFewRows("no rows")
@@ -234,6 +252,8 @@ the way for very many blocks, as a block is as large as its part of A. With repl
         slices, r = combine_recursively(rs, n, count, fan_in or max(2, STACK_BYTES // (8 * n * n)), stage)
     else:
         raise FactorizationError(f"no combine {combine!r}")
+    if seconds is not None:
+        seconds["combine"] = time.perf_counter() - began
     if len(r) < n:
         raise TooFewRows(f"{len(r)} rows, {n} columns")
     if not want_q:
@@ -241,7 +261,9 @@ the way for very many blocks, as a block is as large as its part of A. With repl
     if buckets:
         slices, deliver = stage.write_bucketed(slices, "bucketed_slices", buckets, "block_id").hint("merge"), "join"
     if deliver == "auto":
-        deliver = "broadcast" if size <= BROADCAST_BYTES else "join"
+        deliver = "broadcast" if size <= BROADCAST_BYTES else "ranges" if size <= MOST_RANGES * BROADCAST_BYTES and not replay else "join"
+    if deliver == "ranges":
+        return apply_by_ranges(table, slices, n, size, stage), r
     if deliver == "broadcast" and size > BROADCAST_BYTES:
         raise FactorizationError("the slices are too large to broadcast")
     return direct_apply(local if replay else table, slices, n, deliver), r

@@ -55,8 +55,11 @@ def _entries(nm: NarrowMatrix, upper: bool, salted: int = 0) -> DataFrame:
     return parts.groupBy("i", "j").agg(F.sum("v").alias("v"))
 
 
-def _mirrored(upper: DataFrame) -> DataFrame:
-    return upper.union(upper.where("i < j").select(F.col("j").alias("i"), F.col("i").alias("j"), "v"))
+def _mirrored(cells: DataFrame) -> DataFrame:
+    """All n*n entries from those with i <= j; each is sent out twice, so that A is read once."""
+    cell = lambda i, j: F.struct(F.col(i).alias("i"), F.col(j).alias("j"), F.col("v").alias("v"))
+    both = F.when(F.col("i") == F.col("j"), F.array(cell("i", "j"))).otherwise(F.array(cell("i", "j"), cell("j", "i")))
+    return cells.select(F.explode(both).alias("c")).select("c.i", "c.j", "c.v")
 
 
 def _by_sql(nm: NarrowMatrix, exact_scale: int | None) -> DataFrame:

@@ -21,6 +21,25 @@ def range_join(points: DataFrame, spans: DataFrame, at: str, start: str, end: st
     return binned.join(spread, "bin").where((F.col(at) >= F.col(start)) & (F.col(at) < F.col(end))).drop("bin")
 
 
+def count_within(points: DataFrame, name: str, at: str, width: int) -> DataFrame:
+    """(name, n): for every point the number of points in [at, at + width), for whole numbers at.
+
+    Points are summed by place first. A bin is as wide as the span, so a span is the end of its own bin and the start of the next; both
+    come from running sums within a bin, found by an as-of step in one window over bins, never from pairs of points.
+    """
+    places = points.groupBy(F.col(at).alias("at")).agg(F.count(F.lit(1)).alias("m"))
+    opens = places.select("at", (F.floor(F.col("at") / width)).alias("bin"), "m", F.lit(1).alias("opens"))
+    # The same place seen from the bin after it, a width later: how much of that bin comes before it.
+    closes = places.select((F.col("at") + width).alias("at"), (F.floor(F.col("at") / width) + 1).alias("bin"), F.lit(0).cast("long").alias("m"), F.lit(0).alias("opens"))
+    before = Window.partitionBy("bin").orderBy("at").rangeBetween(Window.unboundedPreceding, -1)
+    whole = Window.partitionBy("bin")
+    seen = opens.unionByName(closes).withColumns({"before": F.coalesce(F.sum("m").over(before), F.lit(0)), "all": F.sum("m").over(whole)})
+    own = seen.where("opens = 1").select("at", (F.col("all") - F.col("before")).alias("rest"))
+    then = seen.where("opens = 0").select((F.col("at") - width).alias("at"), F.col("before").alias("more"))
+    counted = own.join(then, "at").select("at", (F.col("rest") + F.col("more")).alias("n"))
+    return points.join(counted, points[at] == counted["at"]).select(name, "n")
+
+
 def as_of(rows: DataFrame, by: list[str], ts: str, tie: str, value: str, when: Column, out: str) -> DataFrame:
     """The latest earlier value of the rows that satisfy a condition, by key; a row itself doesn't count."""
     w = Window.partitionBy(*by).orderBy(ts, tie).rowsBetween(Window.unboundedPreceding, -1)

@@ -22,23 +22,24 @@ def _r_batch(node: list[int], rs: list[np.ndarray]) -> pa.RecordBatch:
 
 
 def local_r(nm: NarrowMatrix, block_rows: int | None = None) -> DataFrame:
-    """(node, r, r_rows): one triangle for each task, or for each block of so many rows; the node is a label for dealing out only."""
+    """(node, r, r_rows): one triangle for each task, or for each block of so many rows of it, however they come in batches; the node is a label for dealing out only."""
     n = nm.n
 
     def kernel(rows: Iterator[np.ndarray]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        base, r, made = TaskContext.get().partitionId() << 32, None, 0
+        base, r, made, room = TaskContext.get().partitionId() << 32, None, 0, block_rows or 0
         for block in rows:
-            for start in range(0, len(block), block_rows or max(1, len(block))):
-                part = block[start : start + (block_rows or len(block))]
-                if block_rows:
-                    yield _r_batch([base + made], [qr_r(part)])
-                    made += 1
-                else:
-                    r = fold_r(r, part)
+            if not block_rows:
+                r = fold_r(r, block)
+            while block_rows and len(block):
+                part, block = block[:room], block[room:]
+                r, room = fold_r(r, part), room - len(part)
+                if not room:
+                    yield _r_batch([base + made], [r])
+                    r, made, room = None, made + 1, block_rows
         if r is not None:
-            yield _r_batch([base], [r])
+            yield _r_batch([base + made], [r])
 
     return map_blocks(nm, kernel, R_SCHEMA)
 
@@ -62,25 +63,29 @@ def merge_level(rs: DataFrame, n: int, groups: int) -> DataFrame:
     return dealt.groupBy("parent").applyInArrow(merge, R_SCHEMA)
 
 
-def r_tree(rs: DataFrame, n: int, count: int | None = None, fan_in: int | None = None) -> np.ndarray:
-    """The R of all triangles. With a fan-in, levels of that many go before the last; without, they go as soon as the stack is big."""
+def r_tree(rs: DataFrame, n: int, count: int | None = None, fan_in: int | None = None, levels: list[int] | None = None) -> np.ndarray:
+    """The R of all triangles. With a fan-in, levels of that many go before the last; without, they go as soon as the stack is big. levels gets the number of triangles before each level."""
     count = count if count is not None else rs.count()
     step = fan_in or max(2, COLLECT_BYTES // (8 * n * n))
     while count > step:
+        if levels is not None:
+            levels.append(count)
         groups = -(-count // step)
         rs, count = merge_level(rs, n, groups), groups
+    if levels is not None:
+        levels.append(count)
     return qr_r(stack(rs.toArrow(), n))
 
 
-def r_factor(nm: NarrowMatrix, fan_in: int | None = None, block_rows: int | None = None) -> np.ndarray:
+def r_factor(nm: NarrowMatrix, fan_in: int | None = None, block_rows: int | None = None, levels: list[int] | None = None) -> np.ndarray:
     """R alone, in one pass over the rows; fewer rows than columns give fewer rows of R."""
     rs = local_r(nm, block_rows)
     adaptive = "AdaptiveSparkPlan" in nm.df._jdf.queryExecution().executedPlan().toString()
     if not block_rows and not adaptive:
-        return r_tree(rs, nm.n, nm.df.rdd.getNumPartitions(), fan_in)
+        return r_tree(rs, nm.n, nm.df.rdd.getNumPartitions(), fan_in, levels)
     rs = rs.persist()  # their number isn't known beforehand; counting them mustn't factor twice
     try:
-        return r_tree(rs, nm.n, None, fan_in)
+        return r_tree(rs, nm.n, None, fan_in, levels)
     finally:
         rs.unpersist()
 

@@ -22,7 +22,7 @@ METHODS = ("cholesky", "rtree", "direct", "direct_rec", "householder")
 
 @dataclass
 class RunReport:
-    """What a run did: method, passes over the data, seconds of its steps."""
+    """What a run did: method, planned reads of the data (``plans.experiments.rows_read`` counts them), seconds of the steps that have run; Q is lazy."""
 
     method: str
     passes: float = 0
@@ -62,12 +62,12 @@ class QRResult:
 
 
 def qr(nm: NarrowMatrix, method: str = "auto", refine: int = 0, want_q: bool = True, n_blocks: int | None = None, stage: Stage | None = None, fallback: bool = False, **opts) -> QRResult:
-    """Factor a narrow matrix. See METHODS; "auto" asks the planner. Options go to the method."""
+    """Factor a narrow matrix. See METHODS; "auto" asks the planner, with the options cond and stable. Other options go to the method."""
     reason = ""
     if method == "auto":
         from .plans.planner import choose_method
 
-        method, refine, reason = choose_method(None, nm.n, want_q=want_q, n_blocks=n_blocks or nm.df.rdd.getNumPartitions())
+        method, refine, reason = choose_method(None, nm.n, opts.get("cond"), want_q, opts.get("stable", True), n_blocks=n_blocks or nm.df.rdd.getNumPartitions())
     report = RunReport(method + ("+ir" if refine else ""), reason=reason)
     stage = stage or Stage(nm.df.sparkSession)
     began = time.perf_counter()
@@ -84,11 +84,11 @@ def qr(nm: NarrowMatrix, method: str = "auto", refine: int = 0, want_q: bool = T
             if not fallback:
                 raise
             return qr(nm, "direct", 0, want_q, n_blocks, stage)
-        report.passes = (1 + want_q) * (1 + refine)
+        report.passes = 1 + want_q + (refine if want_q else 0) * (1 if opts.get("fused", True) else 2)
     elif method in ("direct", "direct_rec"):
         if not want_q:
             return qr(nm, "rtree", want_q=False, n_blocks=n_blocks, stage=stage)
-        q, r = d.direct(nm, stage, n_blocks, opts.get("block_rows"), opts.get("combine", "recursive" if method == "direct_rec" else "auto"), opts.get("fan_in"), opts.get("deliver", "auto"), replay=opts.get("replay", False), buckets=opts.get("buckets"))
+        q, r = d.direct(nm, stage, n_blocks, opts.get("block_rows"), opts.get("combine", "recursive" if method == "direct_rec" else "auto"), opts.get("fan_in"), opts.get("deliver", "auto"), replay=opts.get("replay", False), buckets=opts.get("buckets"), seconds=report.steps)
         report.passes = 2
     elif method == "householder" and opts.get("form") == "panel":
         panels = p.factor(nm, opts.get("panel", 4))
@@ -102,7 +102,7 @@ def qr(nm: NarrowMatrix, method: str = "auto", refine: int = 0, want_q: bool = T
         report.passes = state.passes + 2 * want_q
     else:
         raise FactorizationError(f"no method {method!r}; there are {METHODS}")
-    report.steps["plan and small work"] = time.perf_counter() - began
+    report.steps["plan and small work" if report.steps else "factor"] = time.perf_counter() - began - sum(report.steps.values())
     return QRResult(q, r, report, nm, stage)
 
 

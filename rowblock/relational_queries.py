@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 import uuid
 from collections.abc import Callable
 
@@ -131,11 +132,11 @@ def j6(spark: SparkSession, sf_dir: str) -> DataFrame:
 _DAY = 86_400
 
 
-@query("j7_range", f"WITH s AS (SELECT event_id AS span_id, epoch_us(ts) // 1000000 AS start_s FROM events WHERE event_id % 97 = 0) SELECT span_id, count(*) AS n FROM s JOIN events ON epoch_us(ts) // 1000000 >= start_s AND epoch_us(ts) // 1000000 < start_s + {_DAY} GROUP BY span_id")
+@query("j7_range", f"WITH e AS (SELECT event_id AS span_id, epoch_us(ts) // 1000000 AS at_s FROM events) SELECT span_id, count(*) OVER (ORDER BY at_s RANGE BETWEEN CURRENT ROW AND {_DAY - 1} FOLLOWING) AS n FROM e")
 def j7(spark: SparkSession, sf_dir: str) -> DataFrame:
-    e = table(spark, sf_dir, "events").select("event_id", F.unix_seconds(F.col("ts").cast("timestamp")).alias("at"))
-    spans = e.where("event_id % 97 = 0").select(F.col("event_id").alias("span_id"), F.col("at").alias("start_s"), (F.col("at") + _DAY).alias("end_s"))
-    return rel.range_join(e, spans, "at", "start_s", "end_s", _DAY).groupBy("span_id").agg(F.count(F.lit(1)).alias("n"))
+    """Every event opens a span of a day; the events of all spans are counted from sums by second and day, so no pair of events is made."""
+    e = table(spark, sf_dir, "events").select(F.col("event_id").alias("span_id"), F.unix_seconds(F.col("ts").cast("timestamp")).alias("at"))
+    return rel.count_within(e, "span_id", "at", _DAY)
 
 
 @query("j8_as_of", "SELECT event_id, last_value(CASE WHEN event_type = 'purchase' THEN value END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS before FROM events")
@@ -335,11 +336,33 @@ def t8(spark: SparkSession, sf_dir: str) -> DataFrame:
     return st.drain(_event_stream(spark, sf_dir).select("event_id", F.round(F.col("value") / r, 9).alias("q0")), "append")
 
 
-@query("t5_late_rows", "SELECT count(*) AS n FROM events")
+@query("t5_late_rows", "WITH c AS (SELECT date_trunc('hour', max(ts)) - INTERVAL 2 DAY AS cut FROM events) SELECT count(*) FILTER (ts >= cut) AS kept, count(*) FILTER (ts < cut) AS dropped FROM events, c")
 def t5(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """With a watermark that reaches over all delays, no row is late."""
-    out = st.drain(st.windowed_gram(_event_stream(spark, sf_dir), "ts", ["value"], "1 day", "12 hours", late="3650 days"), "complete")
-    return out.agg((F.sum("n") / 2).cast("long").alias("n"))  # each row is in two windows
+    """The last two days come first, in two batches, and everything before them afterwards: behind a watermark of an hour, all of that is dropped.
+
+    A batch drops rows by the watermark that held when the batch before it began.
+    """
+    e = table(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    cut = e.agg(F.date_trunc("hour", F.max("ts")) - F.expr("INTERVAL 2 DAYS")).first()[0]
+    folder = f"{shared_folder(spark)}/late-{uuid.uuid4().hex}"
+    new = e.where(F.col("ts") >= F.lit(cut))
+    for part in (new.where("event_id % 2 = 0"), new.where("event_id % 2 = 1"), e.where(F.col("ts") < F.lit(cut))):
+        part.coalesce(1).write.mode("append").parquet(folder)
+        time.sleep(1.1)  # files come in the order of their times
+    stream = st.row_stream(spark, folder, e.schema, 1)
+    kept = st.drain(st.windowed_gram(stream, "ts", ["value"], "1 hour", late="1 hour"), "update", ["w"]).agg(F.sum("n").alias("kept"))
+    return kept.select("kept", (F.lit(e.count()) - F.col("kept")).alias("dropped"))
+
+
+@query("t5_sessions", """
+    WITH b AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER w < INTERVAL 6 HOUR THEN 0 ELSE 1 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)),
+    s AS (SELECT user_id, ts, sum(new) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM b)
+    SELECT n, count(*) AS sessions FROM (SELECT count(*) AS n FROM s GROUP BY user_id, k) GROUP BY n""")
+def t5_sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Sessions of a user end after six hours without an event."""
+    rows = _event_stream(spark, sf_dir).withWatermark("ts", "3650 days")
+    out = st.drain(rows.groupBy("user_id", F.session_window("ts", "6 hours").alias("w")).agg(F.count(F.lit(1)).alias("n")), "complete")
+    return out.groupBy("n").agg(F.count(F.lit(1)).alias("sessions"))
 
 
 @query("t6_interval_join", "SELECT a.event_id AS first_id, b.event_id AS next_id FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR")

@@ -170,3 +170,44 @@ def test_bucketed_blocks_join_without_an_exchange(spark, small):
     assert "SortMergeJoin" in plan and "Exchange" not in plan
     assert measures.orthogonality(res.q_matrix) < 1e-12
     res.release()
+
+
+def test_crashes_change_nothing_but_time(spark, sf):
+    made = fx.cheb(spark, sf, 4)
+    runs = ex.fault_sweep(NarrowMatrix(made.df.repartition(16), made.keys, made.cols, None, 4), (0, 1 / 8, 1 / 2))
+    assert [p for p, *_ in runs] == [0, 1 / 8, 1 / 2] and all(np.allclose(r, runs[0][3], rtol=1e-10) for *_, r in runs)
+
+
+def test_duplicated_columns_raise_where_r_has_to_be_inverted(spark, sf):
+    from rowblock.errors import RankDeficient
+
+    given = fx.raw4(spark, sf)
+    nm = NarrowMatrix(given.df.withColumn("again", given.df[given.cols[0]]), given.keys, (*given.cols, "again"), None, 5)
+    with pytest.raises((RankDeficient, GramNotPositiveDefinite)):
+        qr(nm, "rtree").q.count()
+    with pytest.raises((RankDeficient, GramNotPositiveDefinite)):
+        qr(nm, "cholesky", refine=1).q.count()
+    assert measures.orthogonality(qr(nm, "direct").q_matrix) < 1e-12
+
+
+@pytest.mark.parametrize("batch", ["100", "10000"])
+def test_blocks_have_their_rows_however_they_are_batched(spark, sf, batch):
+    before = spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", batch)
+    try:
+        nm = fx.raw4(spark, sf)
+        nm = NarrowMatrix(nm.df.coalesce(1), nm.keys, nm.cols, None, nm.n)
+        assert rtree.local_r(nm, 2500).count() == 3
+    finally:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", before)
+
+
+def test_many_slices_go_out_by_ranges_without_moving_q(spark, sf, monkeypatch):
+    nm = fx.cheb(spark, sf, 10)
+    want = {tuple(r)[: len(nm.keys)]: tuple(r)[len(nm.keys) :] for r in qr(nm, "direct", n_blocks=40).q.collect()}
+    monkeypatch.setattr(d, "BROADCAST_BYTES", 8 * 40 * 100 // 5)
+    q = qr(nm, "direct", n_blocks=40).q
+    plan = q._jdf.queryExecution().executedPlan().toString()
+    assert "BroadcastHashJoin" in plan and "Exchange hashpartitioning" not in plan
+    got = {tuple(r)[: len(nm.keys)]: tuple(r)[len(nm.keys) :] for r in q.collect()}
+    assert got.keys() == want.keys() and all(np.allclose(got[k], want[k], atol=1e-10) for k in want)
