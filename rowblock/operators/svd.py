@@ -54,9 +54,10 @@ def svd(nm: NarrowMatrix, k: int | None = None, left: bool = True, keep_q: bool
         return SVDResult(None, s[:k], vt[:k].T)
     stage = stage or Stage(nm.df.sparkSession)
     table = stage.write(d.direct_local(nm, n_blocks, block_rows), "svd_blocks")
-    count = table.count()
+    rs = d.triangles(table)
+    count = rs.count()
     size = d.gather_bytes(count, nm.n)
-    slices, r = d.combine_on_driver(table.select("block_id", "r"), nm.n) if size <= d.STACK_BYTES else d.combine_recursively(table.select("block_id", "r"), nm.n, count, max(2, d.STACK_BYTES // (8 * nm.n**2)), stage)
+    slices, r = d.combine_on_driver(rs, nm.n) if size <= d.STACK_BYTES else d.combine_recursively(rs, nm.n, count, max(2, d.STACK_BYTES // (8 * nm.n**2)), stage)
     u, s, vt = np.linalg.svd(r)
     u, vt = _oriented(u, vt)
     how = "broadcast" if size <= d.BROADCAST_BYTES else "join"
