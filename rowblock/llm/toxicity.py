@@ -10,7 +10,8 @@ A text is cut into windows of six words, every three words. Each is compressed u
 that the toxic one saves. (A common carrier ends every window: the compressor stores very short inputs as they are.) The last
 quarter of the sample calibrates: thresholds are the least gains that at most one in 200, 1,000 and 5,000 ordinary windows
 reach, and a logistic curve turns how often a text reaches them, and its highest gains, into a score. The curve is that of a sample
-of which ``toxic_share`` is toxic.
+of which ``toxic_share`` is toxic. Windows that both dictionaries compress to one size gain nothing; most of these are known without
+compressing (``Differences``).
 
 Scores depend on the text and nothing else. Defined results: null and empty texts get the score of a text
 without windows; repeated rows get the same score; an empty table gives an empty result; a sample without toxic or without ordinary
@@ -33,7 +34,7 @@ import zstandard as zstd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import free_name, map_arrow, utf8, with_field
+from .common import free_name, give_back, map_arrow, utf8, with_field
 
 LETTERS = bytes(c if c >= 128 or 97 <= c <= 122 else 32 for c in range(256))  # all else separates words
 LONGEST_WORD = 48  # longer ones are cut
@@ -84,9 +85,98 @@ def words_of(text: bytes) -> list[bytes]:
     return words
 
 
+class Differences:
+    """Which windows two dictionaries of one length may compress differently, where they differ in their heads alone.
+
+    The compressor searches a dictionary from its end, and what it takes from a head is longer than any match in the common rest. So a
+    window's sizes differ only if one of its substrings stands in a head and not in the rest. Length by length, from ``SHORTEST`` bytes
+    on, a table tells by a hash of a substring whether it stands in no head (longer ones don't either), in a head and the rest (longer
+    ones may tell), or in a head alone. Substrings that share a slot count as the one that tells more, so no window is missed; a second
+    table with other slots takes back most of what that adds.
+    """
+
+    SHORTEST, LONGEST = 4, 256  # the compressor's least match; a substring so long counts as one of a head alone
+    SLOTS = 18  # bits
+
+    def __init__(self, ordinary: bytes, toxic: bytes) -> None:
+        whole = [np.frombuffer(c, np.uint8) for c in (ordinary, toxic)]
+        differ = np.flatnonzero(whole[0] != whole[1])
+        head = int(differ[-1]) + 1 if len(differ) else 0
+        # A match that begins in a head may end in the rest, and the compressor finds none that begins in the last eight bytes.
+        parts = [(x, np.arange(head)) for x in whole] + [(whole[0], np.arange(head, max(head, len(ordinary) - 8)))]
+        self.tables: list[np.ndarray] = []  # two for each length
+        long = short = None
+        for size in range(self.SHORTEST, self.LONGEST):
+            if long is None:
+                parts = [(x, at[at + size <= len(x)]) for x, at in parts]
+                long, short = ([self._first(x, at, kind) for x, at in parts] for kind in (np.uint64, np.uint32))
+            else:
+                grown = [at + size <= len(x) for x, at in parts]
+                parts = [(x, at[g]) for (x, at), g in zip(parts, grown, strict=True)]
+                long, short = ([self._longer(h[g], x[at + size - 1]) for (x, at), h, g in zip(parts, hs, grown, strict=True)] for hs in (long, short))
+            both = [np.isin(h, long[-1]) for h in long[:-1]]
+            pair = np.zeros((2, 1 << self.SLOTS), np.uint8)
+            for most in (1, 2):
+                for h, b in zip(short, both, strict=False):
+                    chosen = h[b if most == 1 else ~b]
+                    pair[0, self._slot(chosen)] = most
+                    pair[1, self._second_slot(chosen)] = most
+            self.tables.append(pair)
+            if not any(b.any() for b in both):
+                return
+            both.append(np.isin(long[-1], np.concatenate([h[b] for h, b in zip(long, both, strict=False)])))
+            parts = [(x, at[b]) for (x, at), b in zip(parts, both, strict=True)]
+            long, short = ([h[b] for h, b in zip(hs, both, strict=True)] for hs in (long, short))
+
+    def _slot(self, hashes: np.ndarray) -> np.ndarray:
+        return hashes >> np.uint32(32 - self.SLOTS)
+
+    def _second_slot(self, hashes: np.ndarray) -> np.ndarray:
+        return (hashes * np.uint32(0x85EBCA6B)) >> np.uint32(32 - self.SLOTS)
+
+    @staticmethod
+    def _longer(hashes: np.ndarray, byte: np.ndarray) -> np.ndarray:
+        kind, turn = (np.uint64, 29) if hashes.dtype == np.uint64 else (np.uint32, 15)
+        out = hashes ^ byte.astype(kind)
+        out *= kind(0x9E3779B97F4A7C15 if kind is np.uint64 else 0x9E3779B1)
+        out ^= out >> kind(turn)
+        return out
+
+    def _first(self, x: np.ndarray, at: np.ndarray, kind: type) -> np.ndarray:
+        out = np.zeros(len(at), kind)
+        for k in range(self.SHORTEST):
+            out = self._longer(out, x[at + k])
+        return out
+
+    def of(self, windows: list[bytes], tail: int) -> np.ndarray:
+        """For each window whether its sizes may differ; its last ``tail`` bytes are the end of both dictionaries, where the longest match is found first."""
+        x = np.frombuffer(b"\n".join(windows) + b"\n" * self.SHORTEST, np.uint8)  # no dictionary holds a line feed
+        sizes = np.fromiter(map(len, windows), np.int32, len(windows))
+        starts = (np.cumsum(sizes + 1) - sizes - 1).astype(np.int32)
+        inner = np.maximum(sizes - tail, 0)
+        own = np.repeat(np.arange(len(windows), dtype=np.int32), inner)
+        at = np.arange(len(own), dtype=np.int32) + (starts - (np.cumsum(inner) - inner).astype(np.int32))[own]
+        out, size, hashes = np.zeros(len(windows), bool), self.SHORTEST, self._first(x, at, np.uint32)
+        for table, second in self.tables:
+            kinds = table[self._slot(hashes)]
+            likely = np.flatnonzero(kinds == 2)
+            kinds[likely] = second[self._second_slot(hashes[likely])]
+            out[own[likely[kinds[likely] == 2]]] = True
+            more = np.flatnonzero((kinds == 1) & ~out[own])
+            at, own, hashes = at[more], own[more], hashes[more]
+            if not len(at):
+                return out
+            hashes = self._longer(hashes, x[np.minimum(at + size, len(x) - 1)])
+            size += 1
+        out[own] = True
+        return out
+
+
 class Windows:
     """Gains of a text's windows under a model's dictionaries, and the score they give."""
 
+    AT_ONCE = 1024  # windows that are looked at together
+
     def __init__(self, model: Model) -> None:
         self.model = model
         params = zstd.ZstdCompressionParameters(window_log=18, hash_log=17, chain_log=18, search_log=6, min_match=4, target_length=64, strategy=zstd.STRATEGY_BTLAZY2, write_content_size=False, write_dict_id=False)
@@ -95,22 +185,57 @@ class Windows:
             dictionary = zstd.ZstdCompressionDict(content, dict_type=zstd.DICT_TYPE_RAWCONTENT)
             dictionary.precompute_compress(compression_params=params)
             self.compress.append(zstd.ZstdCompressor(dict_data=dictionary, compression_params=params).compress)
+        self.differences = Differences(model.ordinary, model.toxic)
 
     def gains(self, text: bytes) -> np.ndarray:
-        words, m, out = words_of(text), self.model, []
+        return next(self.all_gains([text]))
+
+    def all_gains(self, texts: Iterable[bytes]) -> Iterator[np.ndarray]:
+        """Of each text; only windows whose sizes may differ are compressed, the others gain nothing."""
+        held: list[bytes] = []
+        counts: list[int] = []
+        done: list[np.ndarray] = []  # of the first text in counts, if it is long
+        for text in texts:
+            counts.append(0)
+            for window in self.windows(text):
+                held.append(window)
+                counts[-1] += 1
+                if len(held) >= self.AT_ONCE:
+                    done.append(self._gains(held))
+                    held = []
+            if not held or len(counts) >= 256:
+                yield from self._split(done, held, counts)
+                held, counts, done = [], [], []
+        yield from self._split(done, held, counts)
+
+    def windows(self, text: bytes) -> Iterator[bytes]:
+        words, m = words_of(text), self.model
+        tail = b" " + m.carrier
         if words:
-            ordinary, toxic = self.compress
-            tail = b" " + m.carrier
             for start in range(0, max(1, len(words) - m.window + m.stride), m.stride):
-                window = b" " + b" ".join(words[start : start + m.window]) + tail
-                out.append(len(ordinary(window)) - len(toxic(window)))
-        return np.array(out, dtype=np.int64)
+                yield b" " + b" ".join(words[start : start + m.window]) + tail
+
+    def _split(self, done: list[np.ndarray], held: list[bytes], counts: list[int]) -> list[np.ndarray]:
+        return np.split(np.concatenate([*done, self._gains(held)]), np.cumsum(counts)[:-1]) if counts else []
+
+    def _gains(self, windows: list[bytes]) -> np.ndarray:
+        ordinary, toxic = self.compress
+        out = np.zeros(len(windows), dtype=np.int64)
+        if windows:
+            for k in np.flatnonzero(self.differences.of(windows, len(self.model.carrier) + 1)):
+                out[k] = len(ordinary(windows[k])) - len(toxic(windows[k]))
+        return out
 
     def score(self, text: bytes) -> float:
+        return next(self.scores([text]))
+
+    def scores(self, texts: Iterable[bytes]) -> Iterator[float]:
         if not self.model.weights.any():
-            return self.model.prior
-        z = float(features(self.gains(text), self.model.thresholds) @ self.model.weights)
-        return 1 / (1 + math.exp(-max(-30.0, min(30.0, z))))
+            yield from (self.model.prior for _ in texts)
+            return
+        for gains in self.all_gains(texts):
+            z = float(features(gains, self.model.thresholds) @ self.model.weights)
+            yield 1 / (1 + math.exp(-max(-30.0, min(30.0, z))))
 
 
 def features(gains: np.ndarray, thresholds: tuple[int, ...]) -> np.ndarray:
@@ -229,7 +354,7 @@ def fit(sample: list[tuple[bytes, int]], training: Training | None = None, prior
         return Model(b" ", b" ", b" ", t.window, t.stride, prior, (1,) * len(t.rates), np.zeros(len(t.rates) + 4))
     model = Model(*train_dictionaries(first[1], first[0], t), t.window, t.stride, prior, (1,) * len(t.rates), np.zeros(len(t.rates) + 4))
     windows = Windows(model)
-    gains = [[windows.gains(text) for text in kind] for kind in last]
+    gains = [list(windows.all_gains(kind)) for kind in last]
     cuts = thresholds(np.concatenate(gains[0]), t.rates)
     x = np.array([features(g, cuts) for kind in gains for g in kind])
     n0, n1 = map(len, last)
@@ -282,7 +407,10 @@ def learn(docs: DataFrame, labels: DataFrame, training: Training | None = None)
     ids = docs.sparkSession.createDataFrame([(i,) for i in sorted(set(taken))], "taken_id long")
     texts = rows.join(F.broadcast(ids), F.col("doc_id") == F.col("taken_id")).select("doc_id", "t", "toxic").toArrow().to_pylist()
     texts.sort(key=lambda r: (hashlib.md5(str(r["doc_id"]).encode()).digest(), r["t"]))
-    return fit([(r["t"], int(r["toxic"])) for r in texts], t, prior)
+    model = fit([(r["t"], int(r["toxic"])) for r in texts], t, prior)
+    del texts
+    give_back()
+    return model
 
 
 _ready: dict[str, Windows] = {}
@@ -304,7 +432,7 @@ def score(docs: DataFrame, model: Model, score_col: str = "score", text_col: str
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         windows = _windows(pickle.loads(packed.value))
         for batch in batches:
-            found = [windows.score((x.as_py() or "").encode()) for x in batch.column(text_at)]
+            found = list(windows.scores((x.as_py() or "").encode() for x in batch.column(text_at)))
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(found, pa.float64())], names=names)
 
     return map_arrow(docs, kernel, with_field(docs, score_col, "double"))
