@@ -28,7 +28,7 @@ def difference(nm: NarrowMatrix, q: DataFrame, r: np.ndarray) -> NarrowMatrix:
     n = nm.n
     joined = NarrowMatrix(both, nm.keys, (), "aq", 2 * n, nm.on_bad_row)
     error = map_rows(joined, lambda rows: rows[:, :n] - rows[:, n:] @ r, n, "e")
-    return NarrowMatrix(error, nm.keys, tuple(f"e{i}" for i in range(n)), None, n)
+    return NarrowMatrix(error, nm.keys, tuple(f"e{i}" for i in range(n)), None, n, made=vars(error).get("made_from"))
 
 
 def residual(nm: NarrowMatrix, q: DataFrame, r: np.ndarray, norm: str = "2") -> float:
